@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from trajkit.llm import block_topk, curve_packing, length_histogram, mil_quality, quality_cascade, secret_scan, shingle_join, toxicity_grammar, weighted_mixing
+from trajkit.llm import block_topk, curve_packing, length_histogram, mil_quality, mincut_extract, quality_cascade, secret_scan, shingle_join, toxicity_grammar, weighted_mixing
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -46,6 +46,10 @@ def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shingle_join.jaccard_components(table(spark, sf_dir, "documents"))
 
 
+def op9_mincut_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mincut_extract.extract(table(spark, sf_dir, "pages"))
+
+
 def op10_weighted_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return weighted_mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", F.col("size").cast("long").alias("size"), F.col("source_size").cast("long").alias("source_size"), "target", "taken")
 
@@ -59,6 +63,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op6_attention_quality": op6_attention_quality,
     "op7_token_counts": op7_token_counts,
     "op8_jaccard_join": op8_jaccard_join,
+    "op9_mincut_extract": op9_mincut_extract,
     "op10_weighted_mixing": op10_weighted_mixing,
 }
 
