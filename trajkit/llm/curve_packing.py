@@ -1,7 +1,7 @@
 """Packing along a space-filling curve.
 
 Each document's words are hashed into a few projected coordinates; the Hilbert index of that
-point is its place on the curve. Documents are range-partitioned and sorted by (index, doc_id),
+point is its place on the curve. Documents are range-partitioned and sorted by that index,
 so neighbours on the curve share sequences, and every partition is packed as a stream: pieces
 are cut at the sequence length, and what is left at a partition's end is cut into sequences
 whose lengths are powers of two, which need no padding.
@@ -16,10 +16,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from trajkit.llm.common import Words, pieces
+from trajkit.llm.common import Words, _mix, pieces
 from trajkit.llm.tokens_bpe import encoder
 
 DIMS, BITS = 3, 10
+#: One document in so many sets the ranges of the curve.
+SAMPLE_ONE_IN = 16
 NAMES = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
@@ -68,12 +70,34 @@ def curve_keys(texts: pa.Array) -> np.ndarray:
     return hilbert_index(points, BITS)
 
 
-def with_curve_key(docs: DataFrame) -> DataFrame:
+def _places(ids: pa.Array, texts: pa.Array) -> np.ndarray:
+    """30 bits of curve, then 32 bits of a hash of the id, so that many documents at one point still spread over partitions."""
+    tie = _mix(ids.fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64).astype(np.uint64)) >> np.uint64(32)
+    return (curve_keys(texts) << 32) | tie.astype(np.int64)
+
+
+def with_curve_key(docs: DataFrame, partitions: int) -> DataFrame:
+    """place, part, doc_id, text: the place along the curve and the range of places, by quantiles of a hash sample of all documents.
+
+    The sample shapes only how many documents a partition gets; it spares the second scan that a range exchange would make.
+    """
+
+    def sample(batches):
+        for b in pieces(batches, 1024):
+            yield pa.RecordBatch.from_arrays([pa.array(_places(b.column(0), b.column(1)))], ["place"])
+
     def keys(batches):
+        edges = np.array(cuts, np.int64)
         for b in pieces(batches, 1024):
-            yield pa.RecordBatch.from_arrays([pa.array(curve_keys(b.column(1))), b.column(0), b.column(1)], ["curve", "doc_id", "text"])
+            place = _places(b.column(0), b.column(1))
+            part = np.searchsorted(edges, place, side="right").astype(np.int32)
+            yield pa.RecordBatch.from_arrays([pa.array(place), pa.array(part), b.column(0), b.column(1)], ["place", "part", "doc_id", "text"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(keys, "curve long, doc_id long, text string")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    some = rows.filter(F.pmod(F.xxhash64("doc_id"), F.lit(SAMPLE_ONE_IN)) == 0).mapInArrow(sample, "place long")
+    shares = [k / partitions for k in range(1, partitions)]
+    cuts = (some.agg(F.percentile_approx("place", shares, 20 * partitions)).first()[0] if shares else None) or []
+    return rows.mapInArrow(keys, "place long, part int, doc_id long, text string")
 
 
 def pack(docs: DataFrame, length: int = 2048, end_id: int = 1, json_file: str = "byte_bpe_50k.json", with_ids: bool = False) -> DataFrame:
@@ -108,7 +132,9 @@ def pack(docs: DataFrame, length: int = 2048, end_id: int = 1, json_file: str =
 
         for batch in batches:
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-                ids = np.array([*encode(text.as_py()), end_id], "<u4")
+                found = encode(text.as_py())
+                found.append(end_id)
+                ids = np.fromiter(found, "<u4", len(found))
                 at = 0
                 while at < len(ids):
                     n = min(length - filled, len(ids) - at)
@@ -134,5 +160,6 @@ def pack(docs: DataFrame, length: int = 2048, end_id: int = 1, json_file: str =
         if ready:
             yield batch_of(ready)
 
-    keyed = with_curve_key(docs).repartitionByRange("curve", "doc_id").sortWithinPartitions("curve", "doc_id", "text")
+    partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    keyed = with_curve_key(docs, partitions).repartitionById(partitions, F.col("part")).sortWithinPartitions("place", "doc_id", "text")
     return keyed.select("doc_id", "text").mapInArrow(packed, SCHEMA + (", ids array<int>" if with_ids else ""))
