@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from trajkit.llm.tokens_bpe import encoder
 
 #: Lengths are prefix-summed in ranges of this many, so that no window spans the whole histogram.
-RANGE = 1024
+RANGE = 64
 
 
 def encoded_lengths(docs: DataFrame, extra_ids: int = 1, json_file: str = "byte_bpe_50k.json") -> DataFrame:
