@@ -114,7 +114,7 @@ def hash_word(word: str) -> np.uint64:
     return w.hashes(np.array([0]), np.array([len(w.data) - 1]))[0]
 
 
-def pieces(batches, rows: int = 512, size: int = 8_000_000):
+def pieces(batches, rows: int = 256, size: int = 1_000_000):
     """Cut Arrow batches into slices of at most ``rows`` rows and about ``size`` bytes, so that memory stays bounded."""
     for batch in batches:
         at = 0

@@ -18,7 +18,7 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from trajkit.llm.common import Words, _mix, materialise, pieces
@@ -30,6 +30,10 @@ FREQUENT, FREQUENT_ROWS = 24, 1 << 19
 #: The further global orders, each a hash seed.
 ORDERS = (0x51ED2701A4C93F57, 0x7C0FFEE5D00DFACE | 1)
 SKETCH_BITS = 1024
+#: Posting lists from this length on are also run through in hashed orders; tokens looked back at for an earlier meeting.
+LONG_LIST, LOOK_BACK = 8, 6
+#: Partners of a set that the first round verifies; rounds of its rough components.
+NEAREST, ROUGH_ROUNDS = 4, 3
 #: Ids that may be broadcast to filter texts; beyond it the texts are joined by shuffle.
 BROADCAST_IDS = 200_000
 
@@ -226,13 +230,20 @@ def postings(docs: DataFrame, frequent: np.ndarray, classes: np.ndarray, total:
 
 
 def neighbour_pairs(index: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """a, b: sets next to each other in a posting list, by size and in two hashed orders; linear in the index."""
+    """a, b: sets next to each other in a posting list, by size, and in long lists in hashed orders of their own; linear in the index.
+
+    Orders that differ from token to token let each member of a large group meet many others, so that most of the
+    group is joined up before pairs between components are looked at one by one.
+    """
 
     def run(batches):
         for batch in batches:
             token, sig, n = (batch.column(k).to_numpy() for k in range(3))
+            size = np.bincount(np.cumsum(np.diff(token, prepend=token[:1]) != 0))
+            long = np.flatnonzero(np.repeat(size, size) >= LONG_LIST)
+            salt = _mix(token[long].astype(np.uint64))
             found = []
-            for order in (np.arange(len(token)), *(np.lexsort((_mix(sig.astype(np.uint64) ^ np.uint64(s)), token)) for s in ORDERS)):
+            for order in (np.arange(len(token)), *(long[np.lexsort((_mix(sig[long].astype(np.uint64) ^ salt ^ np.uint64(s)), token[long]))] for s in ORDERS)):
                 t, g, m = token[order], sig[order], n[order]
                 ok = (t[1:] == t[:-1]) & (g[1:] != g[:-1]) & (100 * np.minimum(m[1:], m[:-1]) >= percent * np.maximum(m[1:], m[:-1]))
                 found.append(np.stack([np.minimum(g[1:], g[:-1])[ok], np.maximum(g[1:], g[:-1])[ok]], 1))
@@ -244,36 +255,51 @@ def neighbour_pairs(index: DataFrame, percent: int = PERCENT) -> DataFrame:
 
 
 def cross_pairs(index: DataFrame, labels: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """a, b: all pairs of a posting list that lie in different components and pass the length and position filters."""
-    known = index.join(labels.select(F.col("node").alias("sig"), "component"), "sig", "left").withColumn("component", F.coalesce("component", "sig"))
-    mixed = known.groupBy("token").agg(F.min("component").alias("_low"), F.max("component").alias("_high")).filter("_low <> _high").select("token")
-    known = known.join(mixed, "token", "left_semi")
-    x = known.select("token", F.col("sig").alias("a"), F.col("n").alias("m"), F.col("pos").alias("p"), F.col("component").alias("c"))
-    y = known.select("token", F.col("sig").alias("b"), F.col("n").alias("n"), F.col("pos").alias("q"), F.col("component").alias("d"))
+    """a, b: all pairs of a posting list that lie in different components and pass the length and position filters.
+
+    In each list the members outside its most frequent component meet all others, so a list whose members are joined up
+    but for a few costs these few times its length. A pair is taken at its first common token: where the tokens just before it
+    meet as well, the pair has been taken there.
+    """
+    few = labels.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
+    label = labels.select(F.col("node").alias("sig"), "component")
+    known = index.join(F.broadcast(label) if few else label, "sig", "left").withColumn("component", F.coalesce("component", "sig"))
+    before = Window.partitionBy("sig").orderBy("pos", "token")
+    known = known.withColumn("last", F.array_compact(F.array(*[F.lag("token", k).over(before) for k in range(1, LOOK_BACK + 1)])))
+    per = known.groupBy("token", "component").agg(F.count("*").alias("_k")).groupBy("token").agg(F.max_by("component", F.struct("_k", "component")).alias("main"), F.count("*").alias("_c"))
+    known = materialise(known.join(per.filter("_c > 1").select("token", "main"), "token"))
+    x = known.filter("component <> main").select("token", F.col("sig").alias("a"), F.col("n").alias("m"), F.col("pos").alias("p"), F.col("component").alias("c"), F.col("last").alias("k"))
+    y = known.select("token", F.col("sig").alias("b"), F.col("n").alias("n"), F.col("pos").alias("q"), F.col("component").alias("d"), F.col("last").alias("l"), "main")
     need = F.expr(f"{percent} * (m + n)")  # times 1 / (100 + percent): the least overlap
     most = F.expr(f"{100 + percent} * least(m - p, n - q)")  # if this is their first common token
-    pair = (F.col("a") < F.col("b")) & (F.col("c") != F.col("d")) & (100 * F.least("m", "n") >= percent * F.greatest("m", "n")) & (most >= need)
-    return x.join(y, "token").filter(pair).select("a", "b").distinct()
+    once = (F.col("d") == F.col("main")) | (F.col("a") < F.col("b"))
+    pair = (F.col("c") != F.col("d")) & once & (100 * F.least("m", "n") >= percent * F.greatest("m", "n")) & (most >= need) & ~F.arrays_overlap("k", "l")
+    return x.join(y, "token").filter(pair).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
-def verified(pairs: DataFrame, docs: DataFrame, nodes: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
+def verified(pairs: DataFrame, docs: DataFrame, nodes: DataFrame, width: int = WIDTH, percent: int = PERCENT, nearest: int | None = None) -> DataFrame:
     """The pairs whose whole sets reach the threshold; sketches, then the further orders, discard most others before.
 
-    ``nodes``: sig, n, sketch, doc_id of one document of each set.
+    ``nodes``: sig, n, sketch, doc_id of one document of each set. ``nearest``: of each set's possible partners only so many,
+    the closest by sketch, are verified; for a round that only has to join up most of a group.
     """
 
-    @F.pandas_udf("boolean")
-    def possible(m: pd.Series, n: pd.Series, x: pd.Series, y: pd.Series) -> pd.Series:
+    @F.pandas_udf("int")
+    def distance(m: pd.Series, n: pd.Series, x: pd.Series, y: pd.Series) -> pd.Series:
+        """Bits in which the sketches differ, or -1 where that many exclude the threshold."""
         if not len(m):
-            return pd.Series([], dtype=bool)
+            return pd.Series([], dtype="int32")
         bits = np.frombuffer(b"".join(x), np.uint8) ^ np.frombuffer(b"".join(y), np.uint8)
-        apart = np.unpackbits(bits.reshape(len(m), -1), axis=1).sum(1)
+        apart = np.unpackbits(bits.reshape(len(m), -1), axis=1).sum(1).astype(np.int64)
         both = m.to_numpy() + n.to_numpy()
-        return pd.Series((100 + percent) * (both - apart) >= 2 * percent * both)
+        return pd.Series(np.where((100 + percent) * (both - apart) >= 2 * percent * both, apart, -1).astype("int32"))
 
     a = nodes.select(F.col("sig").alias("a"), F.col("n").alias("m"), F.col("sketch").alias("x"), F.col("doc_id").alias("a_doc"))
     b = nodes.select(F.col("sig").alias("b"), F.col("n"), F.col("sketch").alias("y"), F.col("doc_id").alias("b_doc"))
-    near = materialise(pairs.join(a, "a").join(b, "b").filter(possible("m", "n", "x", "y")).select("a", "b", "a_doc", "b_doc"))
+    near = pairs.join(a, "a").join(b, "b").select("a", "b", "a_doc", "b_doc", distance("m", "n", "x", "y").alias("apart")).filter("apart >= 0")
+    if nearest:
+        near = near.withColumn("_k", F.row_number().over(Window.partitionBy("a").orderBy("apart", "b"))).filter(F.col("_k") <= nearest)
+    near = materialise(near.select("a", "b", "a_doc", "b_doc"))
     ids = near.select(F.col("a_doc").alias("doc_id")).unionByName(near.select(F.col("b_doc").alias("doc_id"))).distinct()
     few = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
     texts = docs.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
@@ -317,11 +343,10 @@ def jaccard_components(docs: DataFrame, width: int = WIDTH, percent: int = PERCE
     nodes = materialise(named.filter("n_shingles > 0").groupBy("sig", "sig2").agg(F.min("doc_id").alias("doc_id"), F.first("n_shingles").alias("n"), F.first("sketch").alias("sketch")))
     usable = texts.filter("doc_id is not null")
     index = materialise(postings(usable, *frequent_tokens(usable, total, width), total, width, percent))
-    links = materialise(verified(neighbour_pairs(index, percent), usable, nodes, width, percent))
-    labels = connected_components(links)
-    more = materialise(verified(cross_pairs(index, labels, percent), usable, nodes, width, percent))
-    if more.limit(1).count():
-        labels = connected_components(labels.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
+    links = materialise(verified(neighbour_pairs(index, percent), usable, nodes, width, percent, NEAREST))
+    labels = materialise(connected_components(links, ROUGH_ROUNDS, settle=False))
+    more = verified(cross_pairs(index, labels, percent), usable, nodes, width, percent)
+    labels = connected_components(links.unionByName(more))
     # From sets to documents.
     own = nodes.join(labels.select(F.col("node").alias("sig"), "component"), "sig", "left").select("sig", "sig2", "doc_id", F.coalesce("component", "sig").alias("component"))
     least = own.groupBy("component").agg(F.min("doc_id").alias("component_id"))

@@ -28,9 +28,16 @@ def encoder(json_file: str = "byte_bpe_50k.json", rank_file: str = "byte_bpe_50k
         return _CACHE[json_file, rank_file]
     import public_tokenizers
     import tiktoken
-    from tokenizers import Tokenizer
 
-    slow = Tokenizer.from_file(vocabulary_path(json_file))
+    slow: list = []  # loaded with the first text that needs it
+
+    def careful(text: str) -> list[int]:
+        if not slow:
+            from tokenizers import Tokenizer
+
+            slow.append(Tokenizer.from_file(vocabulary_path(json_file)))
+        return slow[0].encode(text, add_special_tokens=False).ids
+
     with open(vocabulary_path(rank_file), "rb") as f:
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
     fast = tiktoken.Encoding("byte_bpe_50k", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
@@ -39,7 +46,7 @@ def encoder(json_file: str = "byte_bpe_50k.json", rank_file: str = "byte_bpe_50k
         if not text:
             return []
         if _MARKER in text or _UNUSUAL.search(text):
-            return slow.encode(text, add_special_tokens=False).ids
+            return careful(text)
         return fast.encode_ordinary(text)
 
     _CACHE[json_file, rank_file] = encode
