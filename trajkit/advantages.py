@@ -12,7 +12,10 @@ from pyspark.sql import functions as F
 from trajkit.registry import register
 
 EPS = 1e-6
-_GROUP = Window.partitionBy("group_id")
+
+
+def _group():
+    return Window.partitionBy("group_id")
 
 
 @register("advantage", "raw")
@@ -28,7 +31,7 @@ def batch_mean(rollouts: DataFrame, reward: str = "reward") -> DataFrame:
 
 @register("advantage", "group_mean")
 def group_mean(rollouts: DataFrame, whiten: bool = False, reward: str = "reward", eps: float = EPS) -> DataFrame:
-    out = rollouts.withColumn("adv", F.col(reward) - F.avg(reward).over(_GROUP))
+    out = rollouts.withColumn("adv", F.col(reward) - F.avg(reward).over(_group()))
     return whitened(out, eps) if whiten else out
 
 
@@ -40,21 +43,21 @@ def whitened(df: DataFrame, eps: float = EPS, value: str = "adv") -> DataFrame:
 
 @register("advantage", "leave_one_out")
 def leave_one_out(rollouts: DataFrame, reward: str = "reward") -> DataFrame:
-    n, total = F.count(reward).over(_GROUP), F.sum(reward).over(_GROUP)
+    n, total = F.count(reward).over(_group()), F.sum(reward).over(_group())
     return rollouts.withColumn("adv", F.when(n < 2, 0.0).otherwise(F.col(reward) - F.try_divide(total - F.col(reward), n - 1)))
 
 
 @register("advantage", "group_relative")
 def group_relative(rollouts: DataFrame, ddof: int = 1, eps: float = EPS, reward: str = "reward") -> DataFrame:
-    mean, spread = F.avg(reward).over(_GROUP), F.max(reward).over(_GROUP) - F.min(reward).over(_GROUP)
-    std = (F.stddev_samp(reward) if ddof else F.stddev_pop(reward)).over(_GROUP)
+    mean, spread = F.avg(reward).over(_group()), F.max(reward).over(_group()) - F.min(reward).over(_group())
+    std = (F.stddev_samp(reward) if ddof else F.stddev_pop(reward)).over(_group())
     return rollouts.withColumn("adv", F.when(spread == 0, 0.0).otherwise((F.col(reward) - mean) / (std + eps)))
 
 
 @register("advantage", "group_relative_unscaled")
 def group_relative_unscaled(rollouts: DataFrame, reward: str = "reward") -> DataFrame:
     """The centred reward without division by a spread; meant for the constant-length normaliser."""
-    return rollouts.withColumn("adv", F.col(reward) - F.avg(reward).over(_GROUP))
+    return rollouts.withColumn("adv", F.col(reward) - F.avg(reward).over(_group()))
 
 
 def token_rewards(trace: DataFrame, beta: float, reward: str = "reward", by: list[str] | None = None) -> DataFrame:

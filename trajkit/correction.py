@@ -12,7 +12,10 @@ from pyspark.sql import functions as F
 from trajkit.registry import register
 
 CAP, LOW, HIGH = 2.0, 0.5, 2.0
-RHO = F.exp(F.col("o") - F.col("b"))
+
+
+def rho():
+    return F.exp(F.col("o") - F.col("b"))
 
 
 def attach(trace: DataFrame) -> DataFrame:
@@ -27,12 +30,12 @@ def none(trace: DataFrame) -> DataFrame:
 
 @register("correction", "token_truncate")
 def token_truncate(trace: DataFrame, cap: float = CAP) -> DataFrame:
-    return trace.withColumn("w", F.least(RHO, F.lit(cap)))
+    return trace.withColumn("w", F.least(rho(), F.lit(cap)))
 
 
 @register("correction", "token_mask")
 def token_mask(trace: DataFrame, low: float = LOW, high: float = HIGH) -> DataFrame:
-    return trace.withColumn("w", F.when(RHO.between(low, high), RHO).otherwise(0.0))
+    return trace.withColumn("w", F.when(rho().between(low, high), rho()).otherwise(0.0))
 
 
 def sequence_ratio(trace: DataFrame, agg: str = "geo", by: tuple[str, ...] = ("rollout_id", "segment_seq")) -> DataFrame:
@@ -51,7 +54,7 @@ def seq_gate(trace: DataFrame, low: float = 0.99, high: float = 1.01, agg: str =
 @register("correction", "gate_truncate")
 def gate_truncate(trace: DataFrame, low: float = 0.99, high: float = 1.01, cap: float = CAP, agg: str = "geo", by: tuple[str, ...] = ("rollout_id", "segment_seq")) -> DataFrame:
     """Whole sequences pass or fail; tokens of those that pass are weighted by their truncated ratio."""
-    return seq_gate(trace, low, high, agg, by).withColumn("w", F.col("w") * F.least(RHO, F.lit(cap)))
+    return seq_gate(trace, low, high, agg, by).withColumn("w", F.col("w") * F.least(rho(), F.lit(cap)))
 
 
 @register("correction", "seq_truncate")
