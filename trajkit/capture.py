@@ -52,7 +52,7 @@ def history_extends(requests: DataFrame) -> DataFrame:
 def history_extends_by_digest(requests: DataFrame) -> DataFrame:
     """The same from chained digests: d_k = md5(d_(k-1), message_k). What is compared and carried is a digest per message, not its text."""
     reply = F.struct(F.lit("assistant").alias("role"), F.col("reply").alias("content"))
-    link = lambda acc, m: F.concat(acc, F.array(F.md5(F.concat_ws("\x1f", F.coalesce(F.element_at(acc, -1), F.lit("")), m["role"], m["content"]))))
+    link = lambda acc, m: F.concat(acc, F.array(F.md5(F.concat_ws("\x1f", F.coalesce(F.try_element_at(acc, F.lit(-1)), F.lit("")), m["role"], m["content"]))))
     chain = F.aggregate(F.concat("messages", F.array(reply)), F.array(F.lit("")), link)
     r = requests.withColumn("_chain", chain)
     r = r.withColumn("_last", F.lag(F.element_at("_chain", -1)).over(_by())).withColumn("_n", F.lag(F.size("_chain")).over(_by()))
