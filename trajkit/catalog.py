@@ -22,5 +22,5 @@ def query(name: str, sql: str | None = None):
     return keep
 
 
-for _part in ("objective", "capture", "policies", "scheduling", "storage", "serving"):
+for _part in ("objective", "capture", "policies", "scheduling", "storage", "serving", "measuring", "surface"):
     importlib.import_module(f"trajkit.queries.{_part}")

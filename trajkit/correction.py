@@ -73,3 +73,9 @@ def check(partial_rollout: bool, correction: str) -> None:
     """Partial rollout mixes versions inside a sequence, so it needs a correction that works per token."""
     if partial_rollout and correction in ("none", "seq_truncate"):
         raise ValueError("partial rollout requires a per-token importance correction")
+
+
+def get_rule(name: str):
+    from trajkit.registry import get
+
+    return get("correction", name)
