@@ -4,23 +4,9 @@ from __future__ import annotations
 
 import importlib
 
-QUERIES: dict = {}
-ORACLES: dict = {}
-
-
-def query(name: str, sql: str | None = None):
-    """Registers a function (spark, sf_dir) -> DataFrame under ``name``, with its DuckDB oracle if SQL can express it."""
-
-    def keep(fn):
-        if name in QUERIES:
-            raise ValueError(f"{name} is registered twice")
-        QUERIES[name] = fn
-        if sql is not None:
-            ORACLES[name] = sql
-        return fn
-
-    return keep
+from trajkit.registered import ORACLES, QUERIES, query
 
+__all__ = ["ORACLES", "QUERIES", "query"]
 
 for _part in ("objective", "capture", "policies", "scheduling", "storage", "serving", "measuring", "surface"):
     importlib.import_module(f"trajkit.queries.{_part}")

@@ -6,7 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from trajkit import capture, grading, tokens, wire, workloads, worlds
-from trajkit.catalog import query
+from trajkit.registered import query
 
 r6 = lambda c, name=None: F.round(F.col(c) if isinstance(c, str) else c, 6).alias(name or c)
 WORDS = r"regexp_extract_all({}, '[^\t\n\x0B\f\r ]+')"

@@ -7,7 +7,7 @@ import os
 from pyspark.sql import functions as F
 
 from trajkit import footprint, groups, measures, workloads
-from trajkit.catalog import query
+from trajkit.registered import query
 from trajkit.oracles import FIRST, TRACE
 from trajkit.queries.objective import four, trace
 

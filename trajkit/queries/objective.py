@@ -6,7 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from trajkit import advantages, batches, correction, critic, groups, losses, measures, prompts, update, workloads
-from trajkit.catalog import query
+from trajkit.registered import query
 from trajkit.oracles import FIRST, ROLLOUTS, TOKENS, TRACE
 
 r6 = lambda c, name=None: F.round(F.col(c) if isinstance(c, str) else c, 6).alias(name or c)
@@ -35,8 +35,8 @@ query("group_complete", f"WITH {ROLLOUTS} SELECT group_id, rollout_id FROM rollo
     lambda s, d: groups.complete(workloads.rollouts(s, d), 4).select("group_id", "rollout_id")
 )
 query("group_first_n", f"WITH {FIRST} SELECT group_id, rollout_id, sample::INTEGER AS sample, reward FROM four")(lambda s, d: four(s, d).select("group_id", "rollout_id", "sample", "reward"))
-query("group_stats", f"WITH {ROLLOUTS} SELECT group_id, count(*) AS n, round(avg(reward_c), 5) AS mean, round(stddev_samp(reward_c), 5) AS std, round(min(reward_c), 5) AS low, round(max(reward_c), 5) AS high FROM rollouts GROUP BY 1")(
-    lambda s, d: groups.stats(workloads.rollouts(s, d), 1, "reward_c").select("group_id", "n", *[F.round(c, 5).alias(c) for c in ("mean", "std", "low", "high")])
+query("group_stats", f"WITH {ROLLOUTS} SELECT group_id, count(*) AS n, round(avg(reward), 6) AS mean, round(stddev_samp(reward), 6) AS std, min(reward) AS low, max(reward) AS high FROM rollouts GROUP BY 1")(
+    lambda s, d: groups.stats(workloads.rollouts(s, d)).select("group_id", "n", r6("mean"), r6("std"), "low", "high")
 )
 query("dyn_filter", f"WITH {FIRST} SELECT group_id, rollout_id, reward FROM live")(lambda s, d: groups.drop_degenerate(four(s, d)).select("group_id", "rollout_id", "reward"))
 query("backfill", f"""WITH {FIRST}, k AS (SELECT group_id, row_number() OVER (ORDER BY done, group_id) AS rank FROM gs WHERE spread > 0) SELECT group_id, rank, (rank - 1) // 32 AS batch FROM k""")(

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from trajkit import capture, correction, losses, measures, policy, workloads
-from trajkit.catalog import query
+from trajkit.registered import query
 from trajkit.queries.capture import HEX, REQ, WORDS, requests
 
 r6 = lambda c, name=None: F.round(F.col(c) if isinstance(c, str) else c, 6).alias(name or c)

@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import functions as F
 
 from trajkit import joins, measures, scheduling, streaming, workloads
-from trajkit.catalog import query
+from trajkit.registered import query
 from trajkit.session import shared_folder
 
 r6 = lambda c, name=None: F.round(F.col(c) if isinstance(c, str) else c, 6).alias(name or c)
@@ -40,12 +40,12 @@ SELECT batch, min(gap) AS least, round(avg(gap), 6) AS mean, max(gap) AS most FR
 query("asof_version", f"WITH {LIFE} SELECT rollout_id, version FROM life ASOF JOIN refit ON dispatched >= refit_at")(
     lambda s, d: joins.as_of(workloads.lifecycle(s, d), scheduling.refits(workloads.lifecycle(s, d)), "dispatched", "refit_at", ["version"]).select("rollout_id", "version")
 )
-_TOK = f"WITH {LIFE}, t AS (SELECT rollout_id, pos, dispatched + pos * 600000000 AS tm FROM life, unnest(range((latency / 10)::BIGINT + 1)) AS u(pos) WHERE NOT failed), v AS (SELECT t.*, version FROM t ASOF JOIN refit ON tm >= refit_at)"
+_TOK = f"WITH {LIFE}, t AS (SELECT rollout_id, pos, dispatched + pos * 600000000 AS tm FROM life, unnest(range(floor(latency / 10)::BIGINT + 1)) AS u(pos) WHERE NOT failed), v AS (SELECT t.*, version FROM t ASOF JOIN refit ON tm >= refit_at)"
 
 
 def _versioned(s, d):
     life = workloads.lifecycle(s, d)
-    times = scheduling.token_times(life.filter("not failed"), F.round(F.col("latency") / 10) + 1, 600.0)
+    times = scheduling.token_times(life.filter("not failed"), F.floor(F.col("latency") / 10) + 1, 600.0)
     return scheduling.partial(times, scheduling.refits(life))
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from trajkit import losses, measures, parallel, policy, routing, serving, workloads, worlds
-from trajkit.catalog import query
+from trajkit.registered import query
 from trajkit.oracles import TRACE
 from trajkit.queries.capture import REQ, WORDS, requests
 from trajkit.queries.objective import _loss

@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import functions as F
 
 from trajkit import batches, experience, measures, workloads
-from trajkit.catalog import query
+from trajkit.registered import query
 from trajkit.session import shared_folder
 
 r6 = lambda c, name=None: F.round(F.col(c) if isinstance(c, str) else c, 6).alias(name or c)

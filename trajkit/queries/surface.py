@@ -7,7 +7,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from trajkit import sources, workloads
-from trajkit.catalog import query
+from trajkit.registered import query
 from trajkit.session import shared_folder
 
 r6 = lambda c, name=None: F.round(F.col(c) if isinstance(c, str) else c, 6).alias(name or c)
@@ -166,8 +166,8 @@ def udf_table(s, d):
     return s.sql("SELECT item_id, i FROM trajkit_benchmark, LATERAL trajkit_upto(3)")
 
 
-@query("sql_surface", "SELECT o_custkey AS group_id, round(avg(o_totalprice), 1) AS mean FROM orders GROUP BY 1 HAVING count(*) >= 4")
+@query("sql_surface", "SELECT o_custkey AS group_id, round(avg(CASE WHEN o_orderstatus = 'F' THEN 1.0 ELSE 0.0 END), 6) AS mean FROM orders GROUP BY 1 HAVING count(*) >= 4")
 def sql_surface(s, d):
     """The same estimators in SQL over a view, with a named argument."""
-    workloads.rollouts(s, d).withColumn("price", col("reward_c") * 1e5).createOrReplaceTempView("trajkit_rollouts")
-    return s.sql("SELECT group_id, round(avg(price), 1) AS mean FROM trajkit_rollouts GROUP BY group_id HAVING count(*) >= :n", args={"n": 4})
+    workloads.rollouts(s, d).createOrReplaceTempView("trajkit_rollouts")
+    return s.sql("SELECT group_id, round(avg(reward), 6) AS mean FROM trajkit_rollouts GROUP BY group_id HAVING count(*) >= :n", args={"n": 4})
