@@ -222,7 +222,7 @@ _graded("grade_normalised", grading.normalised, f"CASE WHEN {_CLEAN.format('acti
 _graded("grade_number", grading.number, "CASE WHEN regexp_extract_all(action, '-?[0-9]+(?:\\.[0-9]+)?')[-1]::DOUBLE = regexp_extract_all(label, '-?[0-9]+(?:\\.[0-9]+)?')[-1]::DOUBLE THEN 1.0 ELSE 0.0 END::DOUBLE")
 _graded("grade_f1", grading.token_f1, f"coalesce(2.0 * len(list_intersect({_SET.format('action')}, {_SET.format('label')})) / nullif(len({_SET.format('action')}) + len({_SET.format('label')}), 0), 0)")
 query("grade_contains", "SELECT item_id, count(*) AS n_documents FROM benchmark b JOIN documents d ON contains(d.text, b.text) GROUP BY 1")(
-    lambda s, d: workloads.table(s, d, "documents").join(F.broadcast(workloads.table(s, d, "benchmark").limit(1000).select("item_id", F.col("text").alias("label"))), grading.contains(F.col("text"), F.col("label")) == 1.0).groupBy("item_id").agg(F.count("*").alias("n_documents"))
+    lambda s, d: workloads.table(s, d, "documents").join(workloads.table(s, d, "benchmark").select("item_id", F.col("text").alias("label")), grading.contains(F.col("text"), F.col("label")) == 1.0).groupBy("item_id").agg(F.count("*").alias("n_documents"))
 )
 query("grade_label", "SELECT doc_id, greatest(0, quality - toxic)::DOUBLE AS reward FROM labels")(lambda s, d: workloads.table(s, d, "labels").select("doc_id", grading.label_lookup(F.col("quality"), F.col("toxic")).alias("reward")))
 query("grade_udf")(lambda s, d: _pairs(s, d).select("rollout_id", "t", grading.from_python(lambda a, b: float(a[:1].lower() == b[:1].lower()))("action", "label").alias("reward")))
