@@ -244,3 +244,30 @@ def test_mixing_meets_targets(spark):
     assert weighted_mixing.mix(df.limit(0)).count() == 0
     whole = weighted_mixing.mix(df, boundary="nearest").toPandas()
     assert (whole["taken"] == whole["size"] * whole["copies"]).all()
+
+
+def test_null_ids_and_repeated_rows(spark):
+    """Each operator returns a row for every row that has no id, and repeats results with repeated rows."""
+    long = "some plain words that go on for a while and then stop here " * 8
+    rows = [(None, long, None, None, None, None, None), (None, None, None, None, None, None, None), (4, long, "en", "s", 1, 0.1, 1), (4, long, "en", "s", 1, 0.1, 1), (5, long + "x", "en", None, 1, 0.1, 1)]
+    df = spark.createDataFrame(rows, SCHEMA)
+    labels = spark.createDataFrame([(None, None, None), (4, 1, None), (5, 0, 1)], "doc_id long, toxic int, quality int")
+    for out in (
+        quality_cascade.quality_rules(df), toxicity_grammar.toxicity(df, labels), secret_scan.scan(df), mil_quality.quality(df, labels),
+        shingle_join.jaccard_components(df), weighted_mixing.mix(df),
+    ):
+        got = [r["doc_id"] for r in out.select("doc_id").collect()]
+        assert sorted(got, key=str) == [4, 4, 5, None, None]
+    assert {r["doc_id"]: r["component_id"] for r in shingle_join.jaccard_components(df).collect()} == {None: None, 4: 4, 5: 4}
+    pieces = curve_packing.pack(df).collect()
+    encode = tokens_bpe.encoder()
+    assert sum(p["length"] for p in pieces) == sum(len(encode(r[1])) + 1 for r in rows)
+    assert length_histogram.token_counts(df).agg(F.sum("n_docs")).first()[0] == 5
+
+
+def test_blocks_of_a_join_do_not_change_it(spark, docs, monkeypatch):
+    """Many small buckets, gathered over several pieces of the input, give the same components as few large ones."""
+    want = sorted(shingle_join.jaccard_components(docs).collect())
+    for name, value in (("COUNT_BUCKET", 40), ("INDEX_BUCKET", 80), ("GATHER", 20_000)):
+        monkeypatch.setattr(shingle_join, name, value)
+    assert sorted(shingle_join.jaccard_components(docs).collect()) == want

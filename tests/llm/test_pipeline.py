@@ -17,3 +17,11 @@ def test_stages_take_effect(spark, small):
     assert set(mix["doc_id"]) <= set(sec["doc_id"]) and mix["doc_id"].value_counts().max() <= 3
     packed = corpus_pipeline.STAGES[-1][1](spark, docs, small).toPandas()
     assert (packed.groupby("sequence_id")["length"].sum() <= 2048).all() and set(packed["doc_id"]) == set(mix["doc_id"])
+
+
+def test_mixing_keeps_rows_without_ids(spark):
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    docs = spark.createDataFrame([(None, "a b c", None, None, None), (1, "a b", "en", "s", 3), (1, "a b c d", "en", "s", 7), (2, None, None, None, None)], schema)
+    out = corpus_pipeline.mixing(spark, docs, "").toPandas()
+    assert list(out.columns) == docs.columns and out["doc_id"].isna().any() and set(out["text"]) <= {"a b c", "a b", "a b c d"}
+    assert corpus_pipeline.mixing(spark, docs.limit(0), "").count() == 0

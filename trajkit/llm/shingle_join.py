@@ -15,6 +15,8 @@ inside a component can't change the result, so no link between components is los
 
 from __future__ import annotations
 
+from collections import defaultdict
+
 import numpy as np
 import pandas as pd
 import pyarrow as pa
@@ -36,6 +38,10 @@ LONG_LIST, LOOK_BACK = 8, 6
 NEAREST, ROUGH_ROUNDS = 4, 3
 #: Ids that may be broadcast to filter texts; beyond it the texts are joined by shuffle.
 BROADCAST_IDS = 200_000
+#: Shingles of the corpus a counting bucket and an index bucket: buckets grow with the input, their size doesn't.
+COUNT_BUCKET, INDEX_BUCKET = 1 << 20, 1 << 21
+#: Tasks gather tokens until blocks hold about BLOCK of them, at most GATHER in all; so blocks shrink only on very large inputs.
+BLOCK, GATHER = 16, 1 << 22
 
 
 def shingle_sets(texts: pa.Array, width: int = WIDTH) -> list[np.ndarray]:
@@ -116,21 +122,32 @@ def frequent_tokens(docs: DataFrame, total: int, width: int = WIDTH) -> tuple[np
     Tasks send sorted 32-bit tokens in blocks by hash bucket, so counting moves four bytes a shingle. The table only
     shapes the order of tokens: whatever is missing from it costs time, never a link.
     """
-    buckets = min(4096, max(64, total >> 20))
+    buckets = max(64, total // COUNT_BUCKET)
+    enough = min(GATHER, BLOCK * buckets)
+
+    def blocks(sets):
+        tokens, counts = np.unique(np.concatenate(sets), return_counts=True)
+        bucket = (tokens.astype(np.int64) * buckets) >> 32
+        first = np.flatnonzero(np.diff(bucket, prepend=-1))
+        parts = list(zip(np.split(tokens, first[1:]), np.split(counts, first[1:])))
+        many = [np.flatnonzero(c > 1) for _, c in parts]
+        return pa.RecordBatch.from_arrays(
+            [pa.array(bucket[first], pa.int32()), pa.array([t.tobytes() for t, _ in parts], pa.binary()), pa.array([np.stack([m, c[m]]).astype(np.uint32).tobytes() for (_, c), m in zip(parts, many)], pa.binary())],
+            ["bucket", "tokens", "more"],
+        )
 
     def send(batches):
+        held, size = [], 0
         for b in pieces(batches):
-            sets = [s for s in shingle_sets(b.column(1), width) if len(s)]
-            if not sets:
-                continue
-            tokens, counts = np.unique(np.concatenate(sets).astype(np.uint32), return_counts=True)
-            cuts = np.searchsorted(tokens.astype(np.int64), (np.arange(1, buckets) << 32) // buckets)
-            parts = [(k, t, c) for k, (t, c) in enumerate(zip(np.split(tokens, cuts), np.split(counts, cuts))) if len(t)]
-            many = [np.flatnonzero(c > 1) for _, _, c in parts]
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([p[0] for p in parts], pa.int32()), pa.array([p[1].tobytes() for p in parts], pa.binary()), pa.array([np.stack([m, p[2][m]]).astype(np.uint32).tobytes() for p, m in zip(parts, many)], pa.binary())],
-                ["bucket", "tokens", "more"],
-            )
+            for s in shingle_sets(b.column(1), width):
+                if len(s):
+                    held.append(s.astype(np.uint32))
+                    size += len(s)
+            if size >= enough:
+                yield blocks(held)
+                held, size = [], 0
+        if size:
+            yield blocks(held)
 
     def count(pdf: pd.DataFrame) -> pd.DataFrame:
         tokens = [np.frombuffer(t, np.uint32) for t in pdf["tokens"]]
@@ -161,13 +178,26 @@ def postings(docs: DataFrame, frequent: np.ndarray, classes: np.ndarray, total:
     step (they are shared for certain), so no posting list of theirs meets in one task.
     """
     table = docs.sparkSession.sparkContext.broadcast((frequent, classes))  # at most FREQUENT_ROWS entries
-    buckets = min(4096, max(32, total >> 21))
+    buckets = max(32, total // INDEX_BUCKET)
+    enough = min(GATHER, BLOCK * buckets)
+
+    def blocks(cols, sigs, sizes, number):
+        bucket, token, row, pos = (np.concatenate(cols[k]) for k in ("bucket", "token", "row", "pos"))
+        order = np.argsort(bucket, kind="stable")
+        bucket, token, row, pos = bucket[order], token[order], row[order], pos[order]
+        first = np.flatnonzero(np.diff(bucket, prepend=bucket[0] - 1))
+        sigs, sizes = np.array(sigs, np.int64), np.array(sizes, np.uint32)
+        rows = []
+        for a, z in zip(first, [*first[1:], len(bucket)]):
+            own, counts = np.unique(row[a:z], return_counts=True)
+            k = int(bucket[a]) if bucket[a] >= 0 else -1 - (hash((int(sigs[0]), number)) & 0x3FFFFFFF)
+            rows.append((k, sigs[own].tobytes(), sizes[own].tobytes(), counts.astype(np.uint32).tobytes(), token[a:z].tobytes(), pos[a:z].tobytes()))
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), [pa.int32(), *[pa.binary()] * 5])], ["bucket", "sigs", "sizes", "counts", "tokens", "pos"])
 
     def send(batches):
         freq, cls = table.value
-        for number, b in enumerate(pieces(batches)):
-            seen, cols = set(), {"bucket": [], "token": [], "row": [], "pos": []}
-            sigs, sizes = [], []
+        number, size, seen, sigs, sizes, cols = 0, 0, set(), [], [], defaultdict(list)
+        for b in pieces(batches):
             for s in shingle_sets(b.column(1), width):
                 if not len(s):
                     continue
@@ -179,24 +209,17 @@ def postings(docs: DataFrame, frequent: np.ndarray, classes: np.ndarray, total:
                 p = prefix_size(len(s), percent)
                 order = np.argsort(key, kind="stable")[:p]
                 cols["token"].append(s[order])
-                cols["bucket"].append(np.where(key[order] >> np.uint64(58), -1, (s[order] >> np.uint64(40)).astype(np.int64) % buckets))
-                cols["row"].append(np.full(p, len(sigs)))
+                cols["bucket"].append(np.where(key[order] >> np.uint64(58), -1, (s[order] >> np.uint64(33)).astype(np.int64) % buckets))
+                cols["row"].append(np.full(p, len(sigs), np.int32))
                 cols["pos"].append((np.arange(p) * 255 // len(s)).astype(np.uint8))
                 sigs.append(sig[0])
                 sizes.append(len(s))
-            if not sigs:
-                continue
-            bucket, token, row, pos = (np.concatenate(cols[k]) for k in ("bucket", "token", "row", "pos"))
-            order = np.argsort(bucket, kind="stable")
-            bucket, token, row, pos = bucket[order], token[order], row[order], pos[order]
-            first = np.flatnonzero(np.diff(bucket, prepend=bucket[0] - 1))
-            sigs, sizes = np.array(sigs, np.int64), np.array(sizes, np.uint32)
-            rows = []
-            for a, z in zip(first, [*first[1:], len(bucket)]):
-                own, counts = np.unique(row[a:z], return_counts=True)
-                k = int(bucket[a]) if bucket[a] >= 0 else -1 - (hash((int(sigs[0]), number)) & 0xFFFFF)
-                rows.append((k, sigs[own].tobytes(), sizes[own].tobytes(), counts.astype(np.uint32).tobytes(), token[a:z].tobytes(), pos[a:z].tobytes()))
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), [pa.int32(), *[pa.binary()] * 5])], ["bucket", "sigs", "sizes", "counts", "tokens", "pos"])
+                size += p
+            if size >= enough:
+                yield blocks(cols, sigs, sizes, number)
+                number, size, seen, sigs, sizes, cols = number + 1, 0, set(), [], [], defaultdict(list)
+        if size:
+            yield blocks(cols, sigs, sizes, number)
 
     def shared(pdf: pd.DataFrame) -> pd.DataFrame:
         counts = np.concatenate([np.frombuffer(x, np.uint32) for x in pdf["counts"]])
