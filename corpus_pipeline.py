@@ -32,10 +32,16 @@ def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix takes it: the whole epochs of its source, and once more if it is drawn."""
-    taken = weighted_mixing.mix(docs.select("doc_id", "source", "text"), boundary="nearest").select("doc_id", "copies").filter("copies > 0")
-    out = docs.join(taken.dropDuplicates(["doc_id"]), "doc_id").withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("copies"))))
-    return out.select(*docs.columns)
+    """Each document as often as the mix takes it: the whole epochs of its source, and once more if it is drawn.
+
+    Rows are found again by id, source and size, nulls included; repeated rows get the same number of copies.
+    """
+    key = ["doc_id", "source", "_size"]
+    taken = weighted_mixing.mix(docs.select("doc_id", "source", "text"), boundary="nearest").withColumnRenamed("size", "_size")
+    taken = taken.filter("copies > 0").groupBy(*key).agg(F.max("copies").alias("_copies")).select(*[F.col(c).alias(f"_k_{c}") for c in key], "_copies")
+    sized = docs.withColumn("_size", weighted_mixing.word_count(F.col("text")))
+    same = [sized[c].eqNullSafe(taken[f"_k_{c}"]) for c in key]
+    return sized.join(taken, same).withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*docs.columns)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
