@@ -271,3 +271,23 @@ def test_blocks_of_a_join_do_not_change_it(spark, docs, monkeypatch):
     for name, value in (("COUNT_BUCKET", 40), ("INDEX_BUCKET", 80), ("GATHER", 20_000)):
         monkeypatch.setattr(shingle_join, name, value)
     assert sorted(shingle_join.jaccard_components(docs).collect()) == want
+
+
+def test_a_key_before_more_lines_is_found():
+    inner = bytes([0x02, 0x01, 0x00, 0x30, 0x1B, 0x06, 0x03, 1, 2, 3, 0x04, 0x14]) + bytes(range(20)) + bytes([0x04, 0x81, 0xC8]) + bytes(range(200))
+    der = bytes([0x30, 0x81, len(inner)]) if len(inner) < 256 else b""
+    code = base64.b64encode(der + inner).decode()
+    many = "\n".join(code[i : i + 64] for i in range(0, len(code), 64))
+    for text in (f"see {code} end", f"see {code}\nthen words", f"see {many}\nthen words", f"{many}\r\nThen\nmore"):
+        ((kind, a, b),) = secret_scan.confirmed_spans(text)
+        assert kind == "der" and text[a:b].replace("\n", "") == code
+    assert secret_scan.confirmed_spans("words " + base64.b64encode(bytes(200)).decode() + "\nthen") == []
+
+
+def test_repeated_ids_teach_once(spark):
+    from trajkit.llm.labelled import training_rows
+
+    df = documents(spark, ["a"] * 3).withColumn("doc_id", F.lit(4).cast("long")).unionByName(documents(spark, ["b"] * 9))
+    labels = spark.createDataFrame([(i, 1) for i in range(9)], "doc_id long, toxic int")
+    got = training_rows(df, labels, "toxic", 4, 2).collect()
+    assert len(got) == len({r["doc_id"] for r in got}) and {r["text"] for r in got if r["doc_id"] == 4} <= {"a"}

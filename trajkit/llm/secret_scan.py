@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import base64
 import binascii
+import bisect
 import hashlib
 import json
 import re
@@ -113,20 +114,45 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
     return found + [("hex", *m.span()) for m in HEX.finditer(text)]
 
 
+def kind_of(data: bytes) -> str:
+    return "der" if is_key_encoding(data) else "blob" if is_length_prefixed(data) else ""
+
+
+def inner_ends(run: str) -> list[int]:
+    """Where else a base64 run over several lines may end: its first line, and the line at which its key encoding is full."""
+    breaks = [m.start() for m in re.finditer(r"[\r\n]+", run)]
+    if not breaks:
+        return []
+    head = decode_base64(run[:12].replace("\n", "").replace("\r", ""))
+    ends = breaks[:1]
+    if head[:1] == b"\x30" and len(head) >= 6:
+        k = head[1] & 0x7F if head[1] & 0x80 else 0
+        if k <= 4:
+            total = (int.from_bytes(head[2 : 2 + k], "big") if k else head[1]) + 2 + k
+            chars, at = 0, 0
+            for end in breaks:
+                chars, at = chars + len(run[at:end].strip("\r\n=")), end
+                if chars * 3 // 4 >= total:
+                    return [*ends, end] if end != breaks[0] else ends
+    return ends
+
+
 def confirmed_spans(text: str) -> list[tuple[str, int, int]]:
     """Spans that are reported only because what they decode to parses."""
     found = []
     if "eyJ" in text:
         found += [("signed", *m.span()) for m in _SIGNED.finditer(text) if is_signed_header(m[0].split(".")[0])]
-    taken = [(a, b) for _, a, b in found]
+    starts, ends = [a for _, a, _ in found], [b for _, _, b in found]  # ascending, and they don't overlap
     for pattern, decode in ((_BASE64, decode_base64), (_HEX_ANY, lambda x: bytes.fromhex(x[: len(x) // 2 * 2]))):
         for m in pattern.finditer(text):
-            if any(a < m.end() and m.start() < b for a, b in taken):
+            k = bisect.bisect_left(starts, m.end())
+            if k and ends[k - 1] > m.start():
                 continue
-            data = decode(m[0])
-            kind = "der" if is_key_encoding(data) else "blob" if is_length_prefixed(data) else ""
-            if kind:
-                found.append((kind, m.start(), m.start() + len(m[0].rstrip("\r\n"))))
+            # A line of text after the run may read like more of it.
+            for run in (m[0], *(m[0][:e] for e in (inner_ends(m[0]) if pattern is _BASE64 else []))):
+                if kind := kind_of(decode(run)):
+                    found.append((kind, m.start(), m.start() + len(run.rstrip("\r\n"))))
+                    break
     return found
 
 
