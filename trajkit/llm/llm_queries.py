@@ -46,6 +46,10 @@ def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shingle_join.jaccard_components(table(spark, sf_dir, "documents"))
 
 
+def prompt_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return shingle_join.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op9_mincut_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mincut_extract.extract(table(spark, sf_dir, "pages"))
 
@@ -65,6 +69,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op8_jaccard_join": op8_jaccard_join,
     "op9_mincut_extract": op9_mincut_extract,
     "op10_weighted_mixing": op10_weighted_mixing,
+    "prompt_neardup": prompt_neardup,
 }
 
 ORACLES: dict[str, str] = {

@@ -378,6 +378,11 @@ def jaccard_components(docs: DataFrame, width: int = WIDTH, percent: int = PERCE
     return out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"))
 
 
+def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
+    """doc_id, cluster_id: the components of the prompt pool. A document without words is a cluster of its own."""
+    return jaccard_components(docs, width, percent).select("doc_id", F.col("component_id").alias("cluster_id"))
+
+
 def keep_one(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
     """One document of each group stays: the one with the smallest doc_id; documents without words all stay.
 

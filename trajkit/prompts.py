@@ -1,4 +1,4 @@
-"""The prompt pool: deduplication at three levels and a stable draw."""
+"""The prompt pool: deduplication of equal texts and a stable draw. Near duplicates are among the optional operators (``prompt_neardup``)."""
 
 from __future__ import annotations
 
@@ -17,20 +17,3 @@ def draw(prompts: DataFrame, n: int, seed: int) -> DataFrame:
     order = F.md5(F.concat(F.lit(f"{seed}:"), F.col("prompt_id").cast("string")))
     top = prompts.withColumn("_o", order).orderBy("_o", "prompt_id").limit(n)
     return top.withColumn("place", F.row_number().over(Window.orderBy("_o", "prompt_id"))).drop("_o")  # n rows
-
-
-def near_duplicates(docs: DataFrame, hashes: int = 32, bands: int = 8) -> DataFrame:
-    """doc_id, cluster_id: documents whose minhash signatures of three-word shingles agree on a band share the band's smallest id.
-
-    Each band keeps one representative per key, so a band of many copies stays linear.
-    """
-    bound = lambda value, use: F.get(F.transform(F.array(value), use), F.lit(0))  # noqa: E731  computed once, not per element
-    words = F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "")
-    last = lambda w: F.greatest(F.size(w) - 3, F.lit(0))
-    shingles = bound(words, lambda w: F.array_distinct(F.transform(F.sequence(F.lit(0), last(w)), lambda i: F.xxhash64(F.get(w, i), F.get(w, i + 1), F.get(w, i + 2)))))
-    rows = hashes // bands
-    band = lambda s, b: F.xxhash64(F.lit(b), *[F.array_min(F.transform(s, lambda h, k=b * rows + r: F.xxhash64(h, F.lit(k)))) for r in range(rows)])
-    d = docs.select("doc_id", bound(shingles, lambda s: F.array(*[band(s, b) for b in range(bands)])).alias("bands"))
-    keys = d.select("doc_id", F.explode("bands").alias("key"))
-    heads = keys.groupBy("key").agg(F.min("doc_id").alias("head"))
-    return keys.join(heads, "key").groupBy("doc_id").agg(F.min("head").alias("cluster_id"))

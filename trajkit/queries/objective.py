@@ -72,7 +72,6 @@ query("prompt_dedup_normalised", "SELECT min(doc_id) AS prompt_id, count(*) AS n
 )
 query("prompt_draw", """WITH p AS (SELECT min(doc_id) AS prompt_id FROM documents GROUP BY md5(text)), o AS (SELECT prompt_id, row_number() OVER (ORDER BY md5('7:' || prompt_id), prompt_id) AS place FROM p)
 SELECT prompt_id, place::INTEGER AS place FROM o WHERE place <= 2000""")(lambda s, d: prompts.draw(prompts.dedup(workloads.table(s, d, "documents"), "exact"), 2000, 7).select("prompt_id", "place"))
-query("prompt_neardup")(lambda s, d: prompts.near_duplicates(workloads.table(s, d, "documents")))
 
 # ---- advantages ------------------------------------------------------------------------------
 
