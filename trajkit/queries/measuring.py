@@ -6,7 +6,7 @@ import os
 
 from pyspark.sql import functions as F
 
-from trajkit import footprint, groups, measures, workloads
+from trajkit import footprint, groups, measures, policy, workloads
 from trajkit.registered import query
 from trajkit.oracles import FIRST, TRACE
 from trajkit.queries.objective import four, trace
@@ -93,6 +93,16 @@ def wl_multiturn(s, d):
     return g.agg(F.count("*").alias("n_groups"), (4 * F.count("*")).alias("n_rollouts"))
 
 
+@query("wl_multiturn_step")
+def wl_multiturn_step(s, d):
+    """The whole step on all complete groups of conversations: sampled at serving precision, gated and truncated, sharded, routes replayed."""
+    from trajkit import multiturn, worlds
+
+    actor = policy.fit_once(workloads.table(s, d, "documents"), 3)
+    out = multiturn.step(worlds.turns(s, d), policy.serve_precision(actor, 1), actor, workloads.table(s, d, "embeddings"))
+    return out.withColumns({"loss": r6("loss"), "sharded": r6("sharded")})
+
+
 @query("train_loop")
 def train_loop(s, d):
     """Three steps of the whole loop, each passage asked for and its own text the label; the log has one row a step."""
