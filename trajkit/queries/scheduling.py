@@ -31,7 +31,7 @@ SELECT batch, ready - start AS generation, greatest(ready - start, CASE WHEN bat
 _CONFIGS = [
     {"name": f"{m}_{w}", "workers": w, "batch": 32, "queue": 64, "train_us": 3_600_000_000, "mode": m} for m in ("streaming", "one_step", "barrier") for w in (64, 128)
 ]
-query("sched_pool")(lambda s, d: scheduling.simulate(workloads.lifecycle(s, d), _CONFIGS))
+query("sched_pool")(lambda s, d: scheduling.simulate(workloads.lifecycle(s, d), _CONFIGS, workloads.SAMPLES))
 query("staleness", f"""WITH {LIFE}, c AS (SELECT *, max(finished) OVER (PARTITION BY batch) AS consumed FROM byfin),
 v AS (SELECT batch, (SELECT max(version) FROM refit WHERE refit_at <= consumed) - (SELECT max(version) FROM refit WHERE refit_at <= dispatched) AS gap FROM c)
 SELECT batch, min(gap) AS least, round(avg(gap), 6) AS mean, max(gap) AS most FROM v GROUP BY 1""")(

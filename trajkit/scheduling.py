@@ -46,12 +46,12 @@ def one_step(batched: DataFrame, train_us: int) -> DataFrame:
     return r.withColumn("generation", gen).withColumn("step", F.greatest(gen, F.when(F.col("batch") > 0, F.lit(train_us)).otherwise(0)))
 
 
-def simulate(rollouts: DataFrame, configs: list[dict]) -> DataFrame:
+def simulate(rollouts: DataFrame, configs: list[dict], n: int = 4) -> DataFrame:
     """A pool of W workers with list scheduling, one row per config: makespan, mean step, utilisation, largest queue of finished groups.
 
     A config (name, workers, batch, queue, train_us, mode) is simulated by one task, configs run side by side; only light
     rows (group, duration) reach Python. mode: streaming, one_step or barrier. ``queue`` bounds finished groups that wait:
-    dispatch stops while it is full.
+    dispatch stops while it is full. Groups of at least ``n`` successful rollouts take part.
     """
     light = rollouts.filter("not failed").select("rollout_id", "group_id", "latency")
     spark = rollouts.sparkSession
@@ -62,14 +62,14 @@ def simulate(rollouts: DataFrame, configs: list[dict]) -> DataFrame:
         c = pdf.iloc[0]
         jobs = pdf.sort_values(["group_id", "rollout_id"])
         size = jobs.groupby("group_id")["rollout_id"].transform("size")
-        jobs = jobs[size == size.max()]
+        jobs = jobs[size >= n]
+        opens, place = ~jobs["group_id"].duplicated(), jobs.groupby("group_id").ngroup()
         free, busy, left = [0.0] * int(c.workers), 0.0, jobs.groupby("group_id").size().to_dict()
         done, trainer, steps, waiting, widest, gate = [], 0.0, [], [], 0, 0.0
         heapq.heapify(free)
         ends: dict = {}
-        per_round = int(c.batch) * int(size.max())
-        for i, (g, latency) in enumerate(zip(jobs["group_id"], jobs["latency"])):
-            if c["mode"] == "barrier" and i % per_round == 0 and i:
+        for g, latency, new, i in zip(jobs["group_id"], jobs["latency"], opens, place):
+            if c["mode"] == "barrier" and new and i % int(c.batch) == 0 and i:
                 gate = max(max(free), trainer)  # all wait for the slowest, then for the update
             start = max(heapq.heappop(free), gate)
             end = start + latency * 60e6
@@ -94,7 +94,7 @@ def simulate(rollouts: DataFrame, configs: list[dict]) -> DataFrame:
                     steps.append(trainer)
         gaps = [b - a for a, b in zip([0.0, *steps], steps)] or [0.0]
         span = max([*free, trainer])
-        return pd.DataFrame([{"name": c["name"], "mode": c["mode"], "n_steps": len(steps), "makespan_s": span / 1e6, "step_s": sum(gaps) / len(gaps) / 1e6, "utilisation": busy / (span * c.workers), "widest_queue": widest}])
+        return pd.DataFrame([{"name": c["name"], "mode": c["mode"], "n_steps": len(steps), "makespan_s": span / 1e6, "step_s": sum(gaps) / len(gaps) / 1e6, "utilisation": busy / (span * c.workers) if span else 0.0, "widest_queue": widest}])
 
     return rows.groupBy("name").applyInPandas(run, "name string, mode string, n_steps long, makespan_s double, step_s double, utilisation double, widest_queue long")
 
