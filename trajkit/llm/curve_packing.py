@@ -16,8 +16,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from trajkit.llm.common import Words, _mix, pieces
-from trajkit.llm.tokens_bpe import encoder
+from trajkit.llm.common import Words, _mix, pieces, segments, tidy
+from trajkit.llm.tokens_bpe import id_arrays
 
 DIMS, BITS = 3, 10
 #: One document in so many sets the ranges of the curve.
@@ -57,16 +57,17 @@ def hilbert_index(points: np.ndarray, bits: int) -> np.ndarray:
 
 def curve_keys(texts: pa.Array) -> np.ndarray:
     """Hilbert index of each text's hashed word vector, projected to DIMS coordinates in [-1, 1]."""
-    words = Words(texts, lower=True)
-    h = words.hashes()
-    points = np.zeros((len(texts), DIMS), np.int64)
-    if len(h):
-        n = np.bincount(words.doc, minlength=len(texts))
+    n, sums = np.zeros(len(texts), np.int64), np.zeros((len(texts), DIMS))
+    for part in segments(texts):
+        words = Words(part, lower=True)
+        h = words.hashes()
+        n += np.diff(words.bounds)
         for k in range(DIMS):
             value = ((h >> np.uint64(20 * k)) & np.uint64(0xFFFF)).astype(np.float64) / 32767.5 - 1
-            mean = np.bincount(words.doc, value, len(texts)) / np.maximum(n, 1)
-            # A mean of n terms has spread n**-0.5; frequent words dominate it, so texts of one kind stay close.
-            points[:, k] = np.clip((np.tanh(mean * np.sqrt(np.minimum(n, 64))) + 1) / 2 * ((1 << BITS) - 1), 0, (1 << BITS) - 1)
+            sums[:, k] += np.bincount(words.doc, value, len(texts))
+    # A mean of n terms has spread n**-0.5; frequent words dominate it, so texts of one kind stay close.
+    spread = np.tanh(sums / np.maximum(n, 1)[:, None] * np.sqrt(np.minimum(n, 64))[:, None])
+    points = np.where(n[:, None] > 0, np.clip((spread + 1) / 2 * ((1 << BITS) - 1), 0, (1 << BITS) - 1), 0).astype(np.int64)
     return hilbert_index(points, BITS)
 
 
@@ -83,12 +84,12 @@ def with_curve_key(docs: DataFrame, partitions: int) -> DataFrame:
     """
 
     def sample(batches):
-        for b in pieces(batches, 1024):
+        for b in pieces(batches):
             yield pa.RecordBatch.from_arrays([pa.array(_places(b.column(0), b.column(1)))], ["place"])
 
     def keys(batches):
         edges = np.array(cuts, np.int64)
-        for b in pieces(batches, 1024):
+        for b in pieces(batches):
             place = _places(b.column(0), b.column(1))
             part = np.searchsorted(edges, place, side="right").astype(np.int32)
             yield pa.RecordBatch.from_arrays([pa.array(place), pa.array(part), b.column(0), b.column(1)], ["place", "part", "doc_id", "text"])
@@ -114,14 +115,17 @@ def pack(docs: DataFrame, length: int = 2048, end_id: int = 1, json_file: str =
     def packed(batches):
         from pyspark import TaskContext
 
-        encode = encoder(json_file)
+        encode = id_arrays(json_file)
         base = TaskContext.get().partitionId() << 32
         ready: list[tuple] = []  # pieces of finished sequences
         held: list[tuple] = []  # pieces of the sequence that is being filled
         sequence, filled = 0, 0
 
         def piece(doc, start, ids, total, seq, offset):
-            return doc, start, len(ids), zlib.crc32(ids.tobytes()), total, base + seq, offset, ids
+            return doc, start, len(ids), zlib.crc32(ids), total, base + seq, offset, ids
+
+        def finished(rows):
+            return rows if with_ids else [r[:7] for r in rows]
 
         def batch_of(rows):
             cols = list(zip(*rows))
@@ -132,16 +136,14 @@ def pack(docs: DataFrame, length: int = 2048, end_id: int = 1, json_file: str =
 
         for batch in batches:
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-                found = encode(text.as_py())
-                found.append(end_id)
-                ids = np.fromiter(found, "<u4", len(found))
+                ids = np.concatenate([*encode(text.as_py()), np.array([end_id], "<u4")])
                 at = 0
                 while at < len(ids):
                     n = min(length - filled, len(ids) - at)
                     held.append(piece(doc, at, ids[at : at + n], len(ids), sequence, filled))
                     at, filled = at + n, filled + n
                     if filled == length:
-                        ready += held
+                        ready += finished(held)
                         held, filled, sequence = [], 0, sequence + 1
                 if len(ready) >= 4096:
                     yield batch_of(ready)
@@ -152,13 +154,14 @@ def pack(docs: DataFrame, length: int = 2048, end_id: int = 1, json_file: str =
             at = 0
             while at < len(ids):
                 n = min(room - offset, len(ids) - at)
-                ready.append(piece(doc, start + at, ids[at : at + n], total, sequence, offset))
+                ready += finished([piece(doc, start + at, ids[at : at + n], total, sequence, offset)])
                 at, offset, filled = at + n, offset + n, filled - n
                 if offset == room:
                     sequence, offset = sequence + 1, 0
                     room = (1 << (filled.bit_length() - 1)) if filled else 0
         if ready:
             yield batch_of(ready)
+        tidy()
 
     partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     keyed = with_curve_key(docs, partitions).repartitionById(partitions, F.col("part")).sortWithinPartitions("place", "doc_id", "text")

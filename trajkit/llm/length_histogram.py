@@ -8,22 +8,23 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from trajkit.llm.tokens_bpe import encoder
+from trajkit.llm.common import materialise, pieces
+from trajkit.llm.tokens_bpe import encoder, parts
 
 #: Lengths are prefix-summed in ranges of this many, so that no window spans the whole histogram.
 RANGE = 64
 
 
 def encoded_lengths(docs: DataFrame, extra_ids: int = 1, json_file: str = "byte_bpe_50k.json") -> DataFrame:
-    """n_tokens, n_docs: documents by encoded length, counted within each batch first, then added up.
+    """n_tokens, n_docs: documents by encoded length, counted within each task first, then added up.
 
     The length counts ``extra_ids`` for the end marker. Null or empty text has that length alone.
     """
 
     def count(batches):
         encode, found = encoder(json_file), Counter()
-        for batch in batches:
-            found.update(len(encode(x.as_py())) + extra_ids for x in batch.column(0))
+        for batch in pieces(batches):
+            found.update(sum(len(encode(p)) for p in parts(x.as_py() or "")) + extra_ids for x in batch.column(0))
         yield pa.RecordBatch.from_pydict({"n_tokens": pa.array(list(found), pa.int64()), "n_docs": pa.array(list(found.values()), pa.int64())})
 
     return docs.select("text").mapInArrow(count, "n_tokens long, n_docs long").groupBy("n_tokens").agg(F.sum("n_docs").alias("n_docs"))
@@ -59,9 +60,10 @@ def with_sums(histogram: DataFrame) -> DataFrame:
 def token_counts(docs: DataFrame, extra_ids: int = 1) -> DataFrame:
     """One row per encoded length that occurs, ascending in meaning: totals, cumulated counts and truncated totals.
 
-    Empty table: no rows. Null text: an empty document. Repeated rows count each. Other columns are ignored.
+    Empty table: no rows. Null text: an empty document. Repeated rows count each. Other columns are ignored. The texts are
+    encoded once: the histogram, which the sums read twice, is written to the shared folder first.
     """
-    return with_sums(encoded_lengths(docs, extra_ids))
+    return with_sums(materialise(encoded_lengths(docs, extra_ids)))
 
 
 def for_limits(sums: DataFrame, limits: list[int]) -> DataFrame:

@@ -12,7 +12,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from trajkit.llm.common import Words, pieces
+from trajkit.llm import common
+from trajkit.llm.common import SPACES, Words, cuts, pieces
 from trajkit.llm.labelled import fold, training_rows
 
 PASSAGE_WORDS = 96
@@ -31,12 +32,20 @@ _CLASSES = [
     _byte_class(bytes(range(65, 91))), _byte_class(bytes(range(97, 123))), _byte_class(bytes(range(48, 58))), _byte_class(b"#*$%&"),
     _byte_class(b"|<>"), _byte_class(b"!?"), _byte_class(b".,;:"), _byte_class(bytes(range(128, 256))),
 ]
-N_FEATURES = len(_CLASSES) + 9 + HASHED
+_NEW_LINE = _byte_class(b"\n")
+N_FEATURES, _TEXT_SIZE = len(_CLASSES) + 9 + HASHED, len(_CLASSES) + 8
+#: Passages of one training text that are learned from at most, evenly spaced; scoring uses all of them.
+TRAIN_PASSAGES = 256
 
 
 def passages(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Features of all passages of all texts, and the first passage of each text (texts + 1 places). A text without words is one zero passage."""
-    words = Words(texts)
+    if len(texts) == 1 and texts[0].is_valid and len(texts[0].as_buffer()) > 2 * common.PIECE:
+        return _of_long_text(np.frombuffer(texts[0].as_buffer(), np.uint8))
+    return _encoded(Words(texts))
+
+
+def _encoded(words: Words) -> tuple[np.ndarray, np.ndarray]:
     n = np.diff(words.bounds)
     count = np.maximum(1, -(-n // PASSAGE_WORDS))
     first = np.concatenate([[0], np.cumsum(count)])
@@ -51,10 +60,13 @@ def passages(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     size = ends - starts
     a, z = words.start[starts], words.end[ends - 1]
     span = np.maximum(z - a, 1)
+    limits = np.stack([a, z], 1).ravel()  # the data end with spare bytes, so every limit is a place in them
+
+    def inside(table: np.ndarray) -> np.ndarray:
+        return np.add.reduceat(table[words.data], limits, dtype=np.int64)[::2]
+
     for k, c in enumerate(_CLASSES):
-        sums = np.zeros(len(words.data) + 1, np.int64)
-        np.cumsum(c[words.data], out=sums[1:])
-        out[rows, k] = (sums[z] - sums[a]) / span
+        out[rows, k] = inside(c) / span
     k = len(_CLASSES)
     length = np.minimum(words.end - words.start, 64).astype(np.float64)
     mean = np.add.reduceat(length, starts) / size
@@ -65,16 +77,40 @@ def passages(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         same = np.zeros(len(h))
         same[lag:] = (h[lag:] == h[:-lag]) & (own[lag:] == own[:-lag])
         out[rows, k + 2 + j] = np.add.reduceat(same, starts) / size
-    lines = np.zeros(len(words.data) + 1, np.int64)
-    np.cumsum(words.data == 10, out=lines[1:])
-    out[rows, k + 6] = (lines[z] - lines[a]) / size
+    out[rows, k + 6] = inside(_NEW_LINE) / size
     out[rows, k + 7] = np.log1p(size) / 5
-    out[rows, k + 8] = np.log1p(n[words.doc[starts]]) / 8
+    out[rows, _TEXT_SIZE] = np.log1p(n[words.doc[starts]]) / 8
     for j in range(HASHED):
         out[rows, k + 9 + j] = np.add.reduceat(((h >> np.uint64(8 * j)) & np.uint64(0xFF)).astype(np.float64) / 127.5 - 1, starts) / size
     return out, first
 
 
+def _of_long_text(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The same for one long text, in segments of whole passages."""
+    words_of = lambda a, z: Words(pa.array([data[a:z].tobytes()], pa.binary()))
+    found, n, at, size = [], 0, 0, common.PIECE
+    while at < len(data):
+        z = at + next(cuts(data[at:], SPACES, size))[1]
+        words = words_of(at, z)
+        whole = len(words.start)
+        if z < len(data):
+            whole -= whole % PASSAGE_WORDS
+            if not whole:  # very long words: look further
+                size *= 2
+                continue
+            if whole < len(words.start):
+                z = at + int(words.start[whole])
+                words = words_of(at, z)
+        if whole:
+            found.append(_encoded(words)[0])
+        n, at, size = n + whole, z, common.PIECE
+    if not found:
+        return np.zeros((1, N_FEATURES)), np.array([0, 1])
+    out = np.concatenate(found)
+    out[:, _TEXT_SIZE] = np.log1p(n) / 8
+    return out, np.array([0, len(out)])
+
+
 def _softmax_by(x: np.ndarray, first: np.ndarray, doc: np.ndarray) -> np.ndarray:
     e = np.exp(x - np.maximum.reduceat(x, first[:-1])[doc])
     return e / np.add.reduceat(e, first[:-1])[doc]
@@ -137,13 +173,14 @@ class GatedAttention:
 
 
 def learn(docs: DataFrame, labels: DataFrame, parts: int = 5, held_out: int = 0) -> GatedAttention | float:
-    """A model from at most labelled.SAMPLE_ROWS labelled documents; with labels of one kind only, their value; without any, 0.5."""
+    """A model from at most labelled.SAMPLE_ROWS labelled documents, and TRAIN_PASSAGES passages of each; with labels of one kind only, their value; without any, 0.5."""
     rows = training_rows(docs, labels, "quality", parts, held_out)
 
     def encode(batches):
         for b in pieces(batches):
             x, first = passages(b.column(1))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array([x[i:j].astype(np.float32).tobytes() for i, j in zip(first[:-1], first[1:])], pa.binary())], ["doc_id", "label", "bag"])
+            bags = [x[i:j] if j - i <= TRAIN_PASSAGES else x[np.linspace(i, j - 1, TRAIN_PASSAGES).astype(int)] for i, j in zip(first[:-1], first[1:])]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array([bag.astype(np.float32).tobytes() for bag in bags], pa.binary())], ["doc_id", "label", "bag"])
 
     got = rows.select("doc_id", "text", "label").mapInArrow(encode, "doc_id long, label int, bag binary").toPandas().sort_values("doc_id", kind="stable")
     if got["label"].nunique() < 2:

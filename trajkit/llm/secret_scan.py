@@ -31,30 +31,30 @@ _HEX_ANY = re.compile(r"[0-9a-fA-F]{64,}")
 _HAS_ASSIGN = re.compile(r"[:=]")
 
 
-def tlv_depth(data: bytes, depth: int = 0) -> int:
-    """How deep well-formed tag-length-value nesting goes; 0 if lengths don't add up to the whole."""
-    at, best = 0, 0
-    while at < len(data):
-        if at + 2 > len(data) or depth > 12:
+def tlv_depth(data: bytes) -> int:
+    """How deep well-formed tag-length-value nesting goes, in one pass at any depth; 0 if lengths don't add up to the whole."""
+    at, best, ends = 0, 0, [len(data)]
+    while ends:
+        if at == ends[-1]:
+            ends.pop()
+            continue
+        if at + 2 > ends[-1]:
             return 0
         tag, size = data[at], data[at + 1]
         at += 2
         if size & 0x80:
             n = size & 0x7F
-            if not 1 <= n <= 4 or at + n > len(data):
+            if not 1 <= n <= 4 or at + n > ends[-1]:
                 return 0
             size = int.from_bytes(data[at : at + n], "big")
             at += n
-        if at + size > len(data):
+        if at + size > ends[-1]:
             return 0
+        best = max(best, len(ends))
         if tag & 0x20:
-            inner = tlv_depth(data[at : at + size], depth + 1)
-            if size and not inner:
-                return 0
-            best = max(best, 1 + inner)
+            ends.append(at + size)
         else:
-            best = max(best, 1)
-        at += size
+            at += size
     return best
 
 

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from trajkit.llm.common import Words, _mix, materialise, pieces
+from trajkit.llm.common import PIECE, Words, _mix, materialise, pieces, segments
 from trajkit.llm.components import connected_components
 
 WIDTH, PERCENT = 5, 75
@@ -46,19 +46,21 @@ BLOCK, GATHER = 16, 1 << 22
 
 def shingle_sets(texts: pa.Array, width: int = WIDTH) -> list[np.ndarray]:
     """The sorted distinct shingle hashes of each text: ``width`` consecutive words, or all words where there are fewer."""
-    words = Words(texts, lower=True)
-    h = words.hashes()
+    parts = [(w.hashes(), w.bounds) for w in (Words(part, lower=True) for part in segments(texts))]
+    h, bounds = parts[0] if len(parts) == 1 else (np.concatenate([x for x, _ in parts]), [0, sum(len(x) for x, _ in parts)])
     factors = [np.uint64((0x9E3779B97F4A7C15 * (2 * j + 3)) & (2**64 - 1) | 1) for j in range(width)]
     wide = np.zeros(max(0, len(h) - width + 1), np.uint64)
-    for j in range(width):
-        wide += h[j : j + len(wide)] * factors[j]
-    wide = _mix(wide)
+    for at in range(0, len(wide), PIECE):
+        end = min(len(wide), at + PIECE)
+        for j in range(width):
+            wide[at:end] += h[at + j : end + j] * factors[j]
+        wide[at:end] = _mix(wide[at:end])
     out = []
-    for a, b in zip(words.bounds[:-1].tolist(), words.bounds[1:].tolist()):
+    for a, b in zip(bounds[:-1], bounds[1:]):
         if b - a >= width:
             out.append(np.unique(wide[a : b - width + 1]))
         elif b > a:
-            short = b - a + sum(int(h[a + j]) * int(factors[j]) for j in range(b - a))
+            short = int(b - a) + sum(int(h[a + j]) * int(factors[j]) for j in range(b - a))
             out.append(_mix(np.array([short & (2**64 - 1)], np.uint64)))
         else:
             out.append(np.empty(0, np.uint64))

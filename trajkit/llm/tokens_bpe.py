@@ -9,10 +9,17 @@ from __future__ import annotations
 
 import base64
 import re
+from collections.abc import Iterator
+
+import numpy as np
 
 #: Outside Latin letters, usual punctuation and plain controls the two libraries' character tables may differ.
 _UNUSUAL = re.compile("[\x00-\x08\x0e-\x1f\x7f-\x9f]|[^\x00-ɏ‐-‧€]|\\S{1000}|\\s{1000}")
 _MARKER = "<|endoftext|>"
+#: The vocabulary's word pattern always starts a new word at a single space between two letters, so a text may be cut before it.
+_CUT = re.compile("[A-Za-z](?= [A-Za-z])")
+#: Characters that are encoded at once.
+PART = 1 << 18
 _CACHE: dict = {}
 
 
@@ -51,3 +58,24 @@ def encoder(json_file: str = "byte_bpe_50k.json", rank_file: str = "byte_bpe_50k
 
     _CACHE[json_file, rank_file] = encode
     return encode
+
+
+def parts(text: str) -> Iterator[str]:
+    """The text in parts of about ``PART`` characters whose ids, one after another, are the ids of the whole."""
+    at = 0
+    while len(text) - at > 2 * PART and (cut := _CUT.search(text, at + PART)):
+        yield text[at : cut.end()]
+        at = cut.end()
+    yield text[at:] if at else text
+
+
+def id_arrays(json_file: str = "byte_bpe_50k.json"):
+    """A function text -> arrays of 32-bit ids, in order; lists of ids exist for one part at a time only."""
+    encode = encoder(json_file)
+
+    def arrays(text: str | None) -> Iterator[np.ndarray]:
+        for part in parts(text or ""):
+            found = encode(part)
+            yield np.fromiter(found, "<u4", len(found))
+
+    return arrays

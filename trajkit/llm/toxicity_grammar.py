@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from trajkit.llm.common import Words, hash_word, pieces
+from trajkit.llm.common import Words, hash_word, pieces, segments
 from trajkit.llm.labelled import fold, one_row_per_text, training_rows
 
 #: Seed words of each class, in English, German, French and Spanish.
@@ -39,7 +39,6 @@ PREFIXES = (4, 5, 6, 7)
 MIN_DOCS, MIN_SHARE, MIN_WEIGHT, MAX_WEIGHT = 3, 0.012, 2.5, 8.0
 #: So few documents are enough if they hold it so often.
 FEW_DOCS, FEW_TIMES = 2, 6
-MAX_STEMS = 4000
 SEED_WEIGHT = 5.0
 REACH = 3  # words that a negation governs, and within which a threat needs its target
 _CLAUSE_MARKS = np.zeros(256, bool)
@@ -136,8 +135,37 @@ def _ranges(words: Words) -> list[tuple[int, np.ndarray, np.ndarray]]:
     return out
 
 
+def _marks(texts: pa.Array, labels: np.ndarray) -> tuple[np.ndarray, dict[int, str], np.ndarray, np.ndarray, np.ndarray]:
+    """Features of a few texts, the spelling of those in toxic ones, toxic texts that hold each, and its places in toxic and other texts."""
+    words = Words(texts, lower=True, letters=True)
+    docs, found, spelt = [], [], {}
+    for k, at, h in _ranges(words):
+        docs.append(words.doc[at])
+        found.append(h)
+        toxic = np.flatnonzero(labels[words.doc[at]] == 1)
+        own, first = np.unique(h[toxic], return_index=True)
+        for x, i in zip(own.tolist(), at[toxic[first]].tolist()):
+            spelt.setdefault(x, bytes(words.data[words.start[i] : words.start[i] + k if k else words.end[i]]).decode(errors="replace") + "*" * bool(k))
+    feature, doc = np.concatenate(found), np.concatenate(docs)
+    order = np.lexsort((doc, feature))
+    feature, doc = feature[order], doc[order]
+    new = np.ones(len(doc), bool)
+    new[1:] = (doc[1:] != doc[:-1]) | (feature[1:] != feature[:-1])
+    first = np.flatnonzero(np.diff(feature, prepend=~feature[:1]))
+    toxic = labels[doc] == 1
+    return feature[first], spelt, *(np.add.reduceat(x.astype(np.int64), first) if len(first) else np.empty(0, np.int64) for x in (toxic & new, toxic, ~toxic))
+
+
+def _of_one_text(parts: list) -> tuple:
+    """What _marks gives for a whole text, from its segments."""
+    feature, place = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
+    spelt = {x: t for p in parts for x, t in p[1].items()}
+    docs, yes, no = (np.bincount(place, np.concatenate([p[k] for p in parts]), len(feature)).astype(np.int64) for k in (2, 3, 4))
+    return feature, spelt, np.minimum(docs, 1), yes, no
+
+
 def learn_stems(rows: DataFrame) -> list[tuple[int, float, str]]:
-    """(hash, weight, text): words and word beginnings that mark toxic documents; at most MAX_STEMS rows reach the driver."""
+    """(hash, weight, text): words and word beginnings that mark toxic documents; as many reach the driver as the bounded sample of rows holds."""
     texts = one_row_per_text(rows)
     counts = {r["label"]: (r["docs"], r["chars"]) for r in texts.groupBy("label").agg(F.count("*").alias("docs"), F.sum(F.length("text")).alias("chars")).collect()}
     (pos, pos_chars), (neg, neg_chars) = counts.get(1, (0, 0)), counts.get(0, (0, 0))
@@ -146,32 +174,17 @@ def learn_stems(rows: DataFrame) -> list[tuple[int, float, str]]:
 
     def features(batches):
         for b in pieces(batches):
-            words, labels = Words(b.column(0), lower=True, letters=True), b.column(1).to_numpy()
-            docs, found, text = [], [], {}
-            for k, at, h in _ranges(words):
-                docs.append(words.doc[at])
-                found.append(h)
-                for n in np.flatnonzero(labels[words.doc[at]] == 1).tolist():
-                    i = at[n]
-                    text.setdefault(int(h[n]), bytes(words.data[words.start[i] : words.start[i] + k if k else words.end[i]]).decode(errors="replace") + "*" * bool(k))
-            feature, doc = np.concatenate(found), np.concatenate(docs)
-            order = np.lexsort((doc, feature))
-            feature, doc = feature[order], doc[order]
-            first = np.flatnonzero(np.diff(feature, prepend=~feature[:1]))
-            new = np.ones(len(doc), bool)
-            new[1:] = (doc[1:] != doc[:-1]) | (feature[1:] != feature[:-1])
-            toxic = labels[doc] == 1
-            cols = [np.add.reduceat(x.astype(np.int64), first) if len(first) else np.empty(0, np.int64) for x in (toxic & new, toxic, ~toxic)]
-            own = feature[first]
-            yield pa.RecordBatch.from_arrays([pa.array(own.astype(np.int64)), pa.array([text.get(int(x)) for x in own], pa.string()), *map(pa.array, cols)], ["feature", "stem", "docs", "yes", "no"])
+            labels = b.column(1).to_numpy()
+            parts = [_marks(part, labels) for part in segments(b.column(0))]
+            own, stem, docs, yes, no = parts[0] if len(parts) == 1 else _of_one_text(parts)
+            yield pa.RecordBatch.from_arrays([pa.array(own.astype(np.int64)), pa.array([stem.get(int(x)) for x in own], pa.string()), pa.array(docs), pa.array(yes), pa.array(no)], ["feature", "stem", "docs", "yes", "no"])
 
     table = texts.select("text", "label").mapInArrow(features, "feature long, stem string, docs long, yes long, no long")
     table = table.groupBy("feature").agg(F.max("stem").alias("stem"), *[F.sum(c).alias(c) for c in ("docs", "yes", "no")])
     weight = F.log(F.col("yes") / float(pos_chars)) - F.log((F.col("no") + 0.5) / float(neg_chars or 1))
     enough = (F.col("docs") >= MIN_DOCS) | ((F.col("docs") >= FEW_DOCS) & (F.col("yes") >= FEW_TIMES))
     table = table.filter((F.col("docs") >= MIN_SHARE * pos) & enough).withColumn("weight", weight).filter(F.col("weight") >= MIN_WEIGHT)
-    best = table.orderBy(F.desc("yes"), F.desc("weight"), "feature").limit(MAX_STEMS).collect()
-    return [(r["feature"], min(MAX_WEIGHT, r["weight"]), r["stem"]) for r in best]
+    return sorted((r["feature"], min(MAX_WEIGHT, r["weight"]), r["stem"]) for r in table.collect())
 
 
 @dataclass
@@ -196,8 +209,22 @@ def build(stems: list[tuple[int, float, str]]) -> Model:
     return Model(keys, np.array([table[int(k)][0] for k in keys]), np.array([table[int(k)][1] for k in keys]), stems=tuple(s for _, _, s in stems))
 
 
-def evidence(texts: pa.Array, model: Model) -> tuple[np.ndarray, np.ndarray, list[tuple[int, int, int, float]]]:
-    """Per text: the sum and the largest of its clauses' scores, its number of words; and (text, first byte, last byte, score) of each matched clause."""
+def evidence(texts: pa.Array, model: Model) -> tuple[np.ndarray, list[tuple[int, int, int, float]]]:
+    """Per text: the sum and the largest of its clauses' scores, its number of words; and (text, first byte, last byte, score) of each matched clause.
+
+    A long text is read in segments that end at the end of a clause.
+    """
+    found, clauses, at = np.zeros((len(texts), 3)), [], 0
+    for part in segments(texts, _CLAUSE_MARKS):
+        own, matched = _evidence(part, model)
+        found[:, [0, 2]] += own[:, [0, 2]]
+        found[:, 1] = np.maximum(found[:, 1], own[:, 1])
+        clauses += [(d, a + at, z + at, s) for d, a, z, s in matched]
+        at += len(part[0].as_buffer()) if part is not texts else 0
+    return found, clauses
+
+
+def _evidence(texts: pa.Array, model: Model) -> tuple[np.ndarray, list[tuple[int, int, int, float]]]:
     words = Words(texts, lower=True, letters=True)
     found, clauses = np.zeros((len(texts), 3)), []
     found[:, 2] = np.diff(words.bounds)
@@ -214,7 +241,7 @@ def evidence(texts: pa.Array, model: Model) -> tuple[np.ndarray, np.ndarray, lis
     marked = np.flatnonzero(cls)
     if not len(marked):
         return found, clauses
-    marks = np.cumsum(_CLAUSE_MARKS[words.data])
+    marks = np.cumsum(_CLAUSE_MARKS[words.data], dtype=np.int32)
     opens = np.ones(len(words.start), bool)
     opens[1:] = (marks[words.start[1:]] != marks[words.end[:-1] - 1]) | (words.doc[1:] != words.doc[:-1])
     first = np.flatnonzero(opens)
