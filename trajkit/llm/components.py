@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from trajkit.llm.common import materialise
+from trajkit.llm.common import materialise, release
 
 #: Links that one task holds while rounds run; small tables take few tasks, large ones as many as they need.
 LINKS_PER_TASK = 250_000
@@ -27,7 +27,8 @@ def connected_components(links: DataFrame, max_rounds: int = 40, settle: bool =
         large = both.filter(F.col("v") > F.col("u")).join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter(F.col("u") != F.col("v"))
         small = large.withColumn("m", F.min("v").over(Window.partitionBy("u")))
         small = small.select(F.inline(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v"))))).filter(F.col("u") != F.col("v")).distinct()
-        edges = materialise(small.coalesce(tasks))
+        last, edges = edges, materialise(small.coalesce(tasks))
+        release(last)
         now = tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()) if settle else None
         if settle and now == before:
             break

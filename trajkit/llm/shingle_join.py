@@ -5,7 +5,8 @@ similarity of at least t must share a token within the first ``size - ceil(t * s
 of both, under *any* global order of tokens. The first order puts rare tokens first (shared
 passages, which many documents hold, come last and stay out of prefixes); its prefixes are
 indexed and make candidates. Candidates must then share prefix tokens under further, hash-made
-orders as well, and only pairs that pass the intersection of all filters are verified on whole sets.
+orders as well, and stay within the distance that parity sketches allow; only pairs that pass the intersection of
+all filters are verified on whole sets. Prefixes and sketches are made with the sets' signatures, so no text is read to filter.
 
 Equal sets are one node from the start. Two rounds keep groups of near copies from being
 expanded: the first compares neighbours within each posting list only, and joins up what links;
@@ -18,12 +19,11 @@ from __future__ import annotations
 from collections import defaultdict
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from trajkit.llm.common import PIECE, Words, _mix, materialise, pieces, segments
+from trajkit.llm.common import PIECE, Words, _mix, materialise, pieces, release, segments, tidy
 from trajkit.llm.components import connected_components
 
 WIDTH, PERCENT = 5, 75
@@ -31,11 +31,10 @@ WIDTH, PERCENT = 5, 75
 FREQUENT, FREQUENT_ROWS = 24, 1 << 19
 #: The further global orders, each a hash seed.
 ORDERS = (0x51ED2701A4C93F57, 0x7C0FFEE5D00DFACE | 1)
-SKETCH_BITS = 1024
 #: Posting lists from this length on are also run through in hashed orders; tokens looked back at for an earlier meeting.
 LONG_LIST, LOOK_BACK = 8, 6
 #: Partners of a set that the first round verifies; rounds of its rough components.
-NEAREST, ROUGH_ROUNDS = 4, 3
+NEAREST, ROUGH_ROUNDS = 2, 3
 #: Ids that may be broadcast to filter texts; beyond it the texts are joined by shuffle.
 BROADCAST_IDS = 200_000
 #: Shingles of the corpus a counting bucket and an index bucket: buckets grow with the input, their size doesn't.
@@ -74,10 +73,22 @@ def signature(tokens: np.ndarray) -> tuple[int, int]:
     return int(_mix(np.array([a]))[0].astype(np.int64)), int(_mix(np.array([b]))[0].astype(np.int64))
 
 
+def sketch_bits(n: int) -> int:
+    """Bits of the sketch of a set of ``n`` tokens: the power of two from twice its size on, so that large sets are told apart too."""
+    return 1 << max(8, (2 * n - 1).bit_length())
+
+
 def parity_sketch(tokens: np.ndarray) -> bytes:
     """Each token toggles one bit: two sketches differ in at most as many bits as the sets differ in tokens."""
-    odd = np.bincount((tokens >> np.uint64(20)).astype(np.int64) % SKETCH_BITS, minlength=SKETCH_BITS) & 1
-    return np.packbits(odd.astype(np.uint8)).tobytes()
+    bits = sketch_bits(len(tokens))
+    odd = np.bincount((tokens >> np.uint64(20)).astype(np.int64) % bits, minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+
+def bits_apart(x: bytes, y: bytes) -> int:
+    """In how many bits two sketches differ; the longer one is folded to the size of the other, which can only lose differences."""
+    x, y = sorted((np.frombuffer(x, np.uint8), np.frombuffer(y, np.uint8)), key=len)
+    return int(np.bitwise_count(x ^ np.bitwise_xor.reduce(y.reshape(-1, len(x)), axis=0)).sum())
 
 
 def prefix_size(n: int, percent: int = PERCENT) -> int:
@@ -94,28 +105,39 @@ def order_keys(tokens: np.ndarray, frequent: np.ndarray, classes: np.ndarray) ->
     return key
 
 
-def share_prefixes(x: np.ndarray, y: np.ndarray, percent: int = PERCENT) -> bool:
-    """Whether the prefixes of both sets meet under every one of ORDERS."""
-    for seed in ORDERS:
-        kx, ky = _mix(x ^ np.uint64(seed)), _mix(y ^ np.uint64(seed))
-        px, py = prefix_size(len(x), percent), prefix_size(len(y), percent)
-        kx, ky = np.partition(kx, px - 1)[:px], np.partition(ky, py - 1)[:py]
-        if not np.isin(kx, ky).any():
-            return False
-    return True
+def low_bits(prefix: int) -> np.dtype:
+    """Prefix tokens under the further orders are kept by their lowest bits, so few that a chance meeting stays unlikely."""
+    return np.dtype("<u2" if prefix <= 128 else "<u4")
+
+
+def order_prefixes(tokens: np.ndarray, percent: int = PERCENT) -> bytes:
+    """The prefix under each of ORDERS, one after another. An order sorts by a seeded hash, which is one-to-one on tokens."""
+    p = prefix_size(len(tokens), percent)
+    return b"".join(np.partition(_mix(tokens ^ np.uint64(seed)), p - 1)[:p].astype(low_bits(p)).tobytes() for seed in ORDERS)
+
+
+def share_prefixes(x: bytes, y: bytes, m: int, n: int, percent: int = PERCENT) -> bool:
+    """Whether the prefixes of two sets of sizes ``m`` and ``n`` meet under every one of ORDERS; never False for a pair that reaches the threshold."""
+    sides = []
+    for data, size in ((x, m), (y, n)):
+        p = prefix_size(size, percent)
+        sides.append(np.frombuffer(data, low_bits(p)).reshape(len(ORDERS), p))
+    kind = min(sides[0].dtype, sides[1].dtype)
+    return all(np.isin(k.astype(kind), l.astype(kind)).any() for k, l in zip(*sides))
+
 
+def summaries(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
+    """doc_id, n_shingles, and for documents with words sig, sig2, sketch, orders (prefixes under the further orders)."""
 
-def summaries(docs: DataFrame, width: int = WIDTH) -> DataFrame:
     def run(batches):
         for b in pieces(batches):
             sets = shingle_sets(b.column(1), width)
             sigs = [signature(s) if len(s) else (None, None) for s in sets]
-            yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([s[0] for s in sigs], pa.int64()), pa.array([s[1] for s in sigs], pa.int64()), pa.array([parity_sketch(s) if len(s) else None for s in sets], pa.binary())],
-                ["doc_id", "n_shingles", "sig", "sig2", "sketch"],
-            )
+            cols = [pa.array([len(s) for s in sets], pa.int64()), *(pa.array([s[k] for s in sigs], pa.int64()) for k in (0, 1))]
+            cols += [pa.array([parity_sketch(s) if len(s) else None for s in sets], pa.binary()), pa.array([order_prefixes(s, percent) if len(s) else None for s in sets], pa.binary())]
+            yield pa.RecordBatch.from_arrays([b.column(0), *cols], ["doc_id", "n_shingles", "sig", "sig2", "sketch", "orders"])
 
-    return docs.mapInArrow(run, "doc_id long, n_shingles long, sig long, sig2 long, sketch binary")
+    return docs.mapInArrow(run, "doc_id long, n_shingles long, sig long, sig2 long, sketch binary, orders binary")
 
 
 def frequent_tokens(docs: DataFrame, total: int, width: int = WIDTH) -> tuple[np.ndarray, np.ndarray]:
@@ -151,12 +173,12 @@ def frequent_tokens(docs: DataFrame, total: int, width: int = WIDTH) -> tuple[np
         if size:
             yield blocks(held)
 
-    def count(pdf: pd.DataFrame) -> pd.DataFrame:
-        tokens = [np.frombuffer(t, np.uint32) for t in pdf["tokens"]]
+    def count(group: pa.Table) -> pa.Table:
+        tokens = [np.frombuffer(t.as_buffer(), np.uint32) for t in group.column("tokens")]
         counts = []
-        for t, m in zip(tokens, pdf["more"]):
+        for t, m in zip(tokens, group.column("more")):
             c = np.ones(len(t), np.int64)
-            at, n = np.frombuffer(m, np.uint32).reshape(2, -1)
+            at, n = np.frombuffer(m.as_buffer(), np.uint32).reshape(2, -1)
             c[at] = n
             counts.append(c)
         tokens, counts = np.concatenate(tokens), np.concatenate(counts)
@@ -165,12 +187,19 @@ def frequent_tokens(docs: DataFrame, total: int, width: int = WIDTH) -> tuple[np
         first = np.flatnonzero(np.diff(tokens, prepend=np.uint32(tokens[0] ^ 1)))
         sums = np.add.reduceat(counts, first)
         keep = sums >= FREQUENT
-        return pd.DataFrame({"token": tokens[first][keep].astype(np.int64), "n_docs": sums[keep]})
+        return pa.table({"token": tokens[first][keep].astype(np.int64), "n_docs": sums[keep]})
 
-    found = docs.mapInArrow(send, "bucket int, tokens binary, more binary").groupBy("bucket").applyInPandas(count, "token long, n_docs long")
-    top = found.orderBy(F.desc("n_docs"), "token").limit(FREQUENT_ROWS).toPandas()
-    top = top.sort_values("token")
-    return top["token"].to_numpy().astype(np.uint32), np.minimum(1 + np.log2(top["n_docs"].to_numpy(np.float64)).astype(np.int64), 62)
+    found = docs.mapInArrow(send, "bucket int, tokens binary, more binary").groupBy("bucket").applyInArrow(count, "token long, n_docs long")
+    top = found.orderBy(F.desc("n_docs"), "token").limit(FREQUENT_ROWS).toArrow().sort_by("token")
+    return top["token"].to_numpy().astype(np.uint32), np.minimum(1 + np.log2(top["n_docs"].to_numpy().astype(np.float64)).astype(np.int64), 62)
+
+
+def in_runs(ordered: np.ndarray) -> np.ndarray:
+    """Where an entry equals one of its neighbours."""
+    same, out = ordered[1:] == ordered[:-1], np.zeros(len(ordered), bool)
+    out[1:] |= same
+    out[:-1] |= same
+    return out
 
 
 def postings(docs: DataFrame, frequent: np.ndarray, classes: np.ndarray, total: int, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
@@ -223,35 +252,28 @@ def postings(docs: DataFrame, frequent: np.ndarray, classes: np.ndarray, total:
         if size:
             yield blocks(cols, sigs, sizes, number)
 
-    def shared(pdf: pd.DataFrame) -> pd.DataFrame:
-        counts = np.concatenate([np.frombuffer(x, np.uint32) for x in pdf["counts"]])
-        sig = np.repeat(np.concatenate([np.frombuffer(x, np.int64) for x in pdf["sigs"]]), counts)
-        n = np.repeat(np.concatenate([np.frombuffer(x, np.uint32) for x in pdf["sizes"]]), counts)
-        token = np.concatenate([np.frombuffer(x, np.uint64) for x in pdf["tokens"]])
-        pos = np.concatenate([np.frombuffer(x, np.uint8) for x in pdf["pos"]])
-        if pdf["bucket"].iloc[0] >= 0:
-            order = np.argsort(token, kind="stable")
-            t = token[order]
-            same = t[1:] == t[:-1]
-            keep = np.zeros(len(t), bool)
-            keep[1:] |= same
-            keep[:-1] |= same
-            order = order[keep]
-            sig, n, token, pos = sig[order], n[order], token[order], pos[order]
-            order = np.lexsort((sig, token))
-            sig, n, token, pos = sig[order], n[order], token[order], pos[order]
-            new = np.ones(len(token), bool)
-            new[1:] = (token[1:] != token[:-1]) | (sig[1:] != sig[:-1])
-            sig, n, token, pos = sig[new], n[new], token[new], pos[new]
-            same = token[1:] == token[:-1]
-            keep = np.zeros(len(token), bool)
-            keep[1:] |= same
-            keep[:-1] |= same
+    def shared(group: pa.Table) -> pa.Table:
+        joined = lambda name, kind: np.concatenate([np.frombuffer(x.as_buffer(), kind) for x in group.column(name)])
+        counts, frequent_rows = joined("counts", np.uint32), group.column("bucket")[0].as_py() < 0
+        sig, n = np.repeat(joined("sigs", np.int64), counts), np.repeat(joined("sizes", np.uint32), counts)
+        token, pos = joined("tokens", np.uint64), joined("pos", np.uint8)
+        if not frequent_rows:  # entries of tokens that a single set holds go; so do repeated entries
+            keep = np.argsort(token, kind="stable")
+            keep = keep[in_runs(token[keep])]
+            keep = keep[np.lexsort((sig[keep], token[keep]))]
+            t, g = token[keep], sig[keep]
+            keep = keep[np.concatenate([np.ones(min(1, len(t)), bool), (t[1:] != t[:-1]) | (g[1:] != g[:-1])])]
+            keep = keep[in_runs(token[keep])]
             sig, n, token, pos = sig[keep], n[keep], token[keep], pos[keep]
-        return pd.DataFrame({"token": token.astype(np.int64), "sig": sig, "n": n.astype(np.int64), "pos": (pos.astype(np.int64) * n + 254) // 255})
+        return pa.table({"token": token.view(np.int64), "sig": sig, "n": n.astype(np.int64), "pos": (pos.astype(np.int64) * n + 254) // 255, "frequent": np.full(len(token), frequent_rows)})
 
     sent = docs.mapInArrow(send, "bucket int, sigs binary, sizes binary, counts binary, tokens binary, pos binary")
-    return sent.groupBy("bucket").applyInPandas(shared, "token long, sig long, n long, pos long")
+    found = materialise(sent.groupBy("bucket").applyInArrow(shared, "token long, sig long, n long, pos long, frequent boolean"))
+    # Entries of frequent tokens come once a block of each task; copies of one set would repeat them.
+    once = found.filter("frequent").groupBy("token", "sig").agg(F.min("n").alias("n"), F.min("pos").alias("pos"))
+    index = materialise(found.filter("not frequent").drop("frequent").unionByName(once))
+    release(found)
+    return index
 
 
 def neighbour_pairs(index: DataFrame, percent: int = PERCENT) -> DataFrame:
@@ -302,32 +324,48 @@ def cross_pairs(index: DataFrame, labels: DataFrame, percent: int = PERCENT) ->
     return x.join(y, "token").filter(pair).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
-def verified(pairs: DataFrame, docs: DataFrame, nodes: DataFrame, width: int = WIDTH, percent: int = PERCENT, nearest: int | None = None) -> DataFrame:
-    """The pairs whose whole sets reach the threshold; sketches, then the further orders, discard most others before.
+def verified(pairs: DataFrame, docs: DataFrame, summary: DataFrame, nodes: DataFrame, width: int = WIDTH, percent: int = PERCENT, nearest: int | None = None) -> DataFrame:
+    """The pairs whose whole sets reach the threshold. Sketches and the prefixes under the further orders discard others before a text is read.
 
     ``nodes``: sig, n, sketch, doc_id of one document of each set. ``nearest``: of each set's possible partners only so many,
     the closest by sketch, are verified; for a round that only has to join up most of a group.
     """
 
-    @F.pandas_udf("int")
-    def distance(m: pd.Series, n: pd.Series, x: pd.Series, y: pd.Series) -> pd.Series:
-        """Bits in which the sketches differ, or -1 where that many exclude the threshold."""
-        if not len(m):
-            return pd.Series([], dtype="int32")
-        bits = np.frombuffer(b"".join(x), np.uint8) ^ np.frombuffer(b"".join(y), np.uint8)
-        apart = np.unpackbits(bits.reshape(len(m), -1), axis=1).sum(1).astype(np.int64)
-        both = m.to_numpy() + n.to_numpy()
-        return pd.Series(np.where((100 + percent) * (both - apart) >= 2 * percent * both, apart, -1).astype("int32"))
+    def close(batches):
+        for batch in batches:
+            m, n = (batch.column(k).to_numpy() for k in (4, 5))
+            apart = np.fromiter((bits_apart(x.as_buffer(), y.as_buffer()) for x, y in zip(batch.column(6), batch.column(7))), np.int64, len(m))
+            keep = pa.array((100 + percent) * (m + n - apart) >= 2 * percent * (m + n))  # else so many exclude the threshold
+            yield pa.RecordBatch.from_arrays([*(batch.column(k).filter(keep) for k in range(6)), pa.array(apart.astype(np.int32)).filter(keep)], ["a", "b", "a_doc", "b_doc", "m", "n", "apart"])
+        tidy()
+
+    def meeting(batches):
+        for batch in batches:
+            m, n = (batch.column(k).to_pylist() for k in (4, 5))
+            keep = pa.array([share_prefixes(x.as_buffer(), y.as_buffer(), *size, percent) for x, y, *size in zip(batch.column(6), batch.column(7), m, n)], pa.bool_())
+            yield pa.RecordBatch.from_arrays([batch.column(k).filter(keep) for k in range(4)], ["a", "b", "a_doc", "b_doc"])
+        tidy()
+
+    def both_sides(table: DataFrame, column: str) -> tuple[DataFrame, DataFrame]:
+        return table.select(F.col("sig").alias("a"), F.col(column).alias("x")), table.select(F.col("sig").alias("b"), F.col(column).alias("y"))
+
+    def of_ids(table: DataFrame, found: DataFrame) -> DataFrame:
+        """Rows of ``table`` of the documents that stand for the sets of ``found``."""
+        ids = found.select(F.col("a_doc").alias("doc_id")).unionByName(found.select(F.col("b_doc").alias("doc_id"))).distinct()
+        few = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
+        return table.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
 
     a = nodes.select(F.col("sig").alias("a"), F.col("n").alias("m"), F.col("sketch").alias("x"), F.col("doc_id").alias("a_doc"))
     b = nodes.select(F.col("sig").alias("b"), F.col("n"), F.col("sketch").alias("y"), F.col("doc_id").alias("b_doc"))
-    near = pairs.join(a, "a").join(b, "b").select("a", "b", "a_doc", "b_doc", distance("m", "n", "x", "y").alias("apart")).filter("apart >= 0")
+    row = ("a", "b", "a_doc", "b_doc", "m", "n")
+    near = pairs.join(a, "a").join(b, "b").select(*row, "x", "y").mapInArrow(close, "a long, b long, a_doc long, b_doc long, m long, n long, apart int")
     if nearest:
         near = near.withColumn("_k", F.row_number().over(Window.partitionBy("a").orderBy("apart", "b"))).filter(F.col("_k") <= nearest)
-    near = materialise(near.select("a", "b", "a_doc", "b_doc"))
-    ids = near.select(F.col("a_doc").alias("doc_id")).unionByName(near.select(F.col("b_doc").alias("doc_id"))).distinct()
-    few = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
-    texts = docs.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
+    near = materialise(near.select(*row))
+    x, y = both_sides(of_ids(summary, near).groupBy("sig").agg(F.min("orders").alias("orders")), "orders")
+    met = materialise(near.join(x, "a").join(y, "b").select(*row, "x", "y").mapInArrow(meeting, "a long, b long, a_doc long, b_doc long"))
+    release(near)
+    texts = of_ids(docs, met)
 
     def sets(batches):
         for p in pieces(batches):
@@ -341,17 +379,20 @@ def verified(pairs: DataFrame, docs: DataFrame, nodes: DataFrame, width: int = W
             a, b, keep = p.column(0).to_numpy(), p.column(1).to_numpy(), []
             for x, y in zip(p.column(2), p.column(3)):
                 x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-                ok = 100 * min(len(x), len(y)) >= percent * max(len(x), len(y)) and share_prefixes(x, y, percent)
+                ok = 100 * min(len(x), len(y)) >= percent * max(len(x), len(y))
                 if ok:
                     common = len(np.intersect1d(x, y, assume_unique=True))
                     ok = 100 * common >= percent * (len(x) + len(y) - common)
                 keep.append(ok)
             keep = np.array(keep, bool)
             yield pa.RecordBatch.from_arrays([pa.array(a[keep]), pa.array(b[keep])], ["a", "b"])
+        tidy()
 
-    left = near.select("a", "b").join(whole.select(F.col("sig").alias("b"), F.col("tokens").alias("y")), "b")
-    both = left.join(whole.select(F.col("sig").alias("a"), F.col("tokens").alias("x")), "a").select("a", "b", "x", "y")
-    return both.mapInArrow(compare, "a long, b long").distinct()
+    x, y = both_sides(whole, "tokens")
+    both = met.select("a", "b").join(y, "b").join(x, "a").select("a", "b", "x", "y")
+    out = materialise(both.mapInArrow(compare, "a long, b long").distinct())
+    release(met)
+    return out
 
 
 def jaccard_components(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
@@ -362,15 +403,16 @@ def jaccard_components(docs: DataFrame, width: int = WIDTH, percent: int = PERCE
     judged by their own texts. Empty table: no rows. Other columns are ignored. Whole texts count, whatever their length.
     """
     texts = docs.select(docs["doc_id"].cast("long").alias("doc_id"), "text")
-    summary = materialise(summaries(texts, width))
+    summary = materialise(summaries(texts, width, percent))
     total = summary.agg(F.sum("n_shingles")).first()[0] or 0
     named = summary.filter("doc_id is not null")
     nodes = materialise(named.filter("n_shingles > 0").groupBy("sig", "sig2").agg(F.min("doc_id").alias("doc_id"), F.first("n_shingles").alias("n"), F.first("sketch").alias("sketch")))
     usable = texts.filter("doc_id is not null")
-    index = materialise(postings(usable, *frequent_tokens(usable, total, width), total, width, percent))
-    links = materialise(verified(neighbour_pairs(index, percent), usable, nodes, width, percent, NEAREST))
+    index = postings(usable, *frequent_tokens(usable, total, width), total, width, percent)
+    links = verified(neighbour_pairs(index, percent), usable, summary, nodes, width, percent, NEAREST)
     labels = materialise(connected_components(links, ROUGH_ROUNDS, settle=False))
-    more = verified(cross_pairs(index, labels, percent), usable, nodes, width, percent)
+    more = verified(cross_pairs(index, labels, percent), usable, summary, nodes, width, percent)
+    release(index)
     labels = connected_components(links.unionByName(more))
     # From sets to documents.
     own = nodes.join(labels.select(F.col("node").alias("sig"), "component"), "sig", "left").select("sig", "sig2", "doc_id", F.coalesce("component", "sig").alias("component"))
