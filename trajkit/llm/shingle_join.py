@@ -34,7 +34,7 @@ ORDERS = (0x51ED2701A4C93F57, 0x7C0FFEE5D00DFACE | 1)
 #: Posting lists from this length on are also run through in hashed orders; tokens looked back at for an earlier meeting.
 LONG_LIST, LOOK_BACK = 8, 6
 #: Partners of a set that the first round verifies; rounds of its rough components.
-NEAREST, ROUGH_ROUNDS = 2, 3
+NEAREST, ROUGH_ROUNDS = 2, 4
 #: Ids that may be broadcast to filter texts; beyond it the texts are joined by shuffle.
 BROADCAST_IDS = 200_000
 #: Shingles of the corpus a counting bucket and an index bucket: buckets grow with the input, their size doesn't.
@@ -360,7 +360,8 @@ def verified(pairs: DataFrame, docs: DataFrame, summary: DataFrame, nodes: DataF
     row = ("a", "b", "a_doc", "b_doc", "m", "n")
     near = pairs.join(a, "a").join(b, "b").select(*row, "x", "y").mapInArrow(close, "a long, b long, a_doc long, b_doc long, m long, n long, apart int")
     if nearest:
-        near = near.withColumn("_k", F.row_number().over(Window.partitionBy("a").orderBy("apart", "b"))).filter(F.col("_k") <= nearest)
+        rank = [F.row_number().over(Window.partitionBy(x).orderBy("apart", y)) for x, y in (("a", "b"), ("b", "a"))]
+        near = near.withColumn("_a", rank[0]).withColumn("_b", rank[1]).filter(F.least("_a", "_b") <= nearest)
     near = materialise(near.select(*row))
     x, y = both_sides(of_ids(summary, near).groupBy("sig").agg(F.min("orders").alias("orders")), "orders")
     met = materialise(near.join(x, "a").join(y, "b").select(*row, "x", "y").mapInArrow(meeting, "a long, b long, a_doc long, b_doc long"))
