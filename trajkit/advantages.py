@@ -6,7 +6,9 @@ equal, or it has one rollout only, group-relative values are 0. Rollouts without
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+import math
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from trajkit.registry import register
@@ -66,18 +68,34 @@ def token_rewards(trace: DataFrame, beta: float, reward: str = "reward", by: lis
     return trace.withColumn("r", F.when(F.col("pos") == last, F.col(reward)).otherwise(0.0) - beta * F.col("kl"))
 
 
-def returns(trace: DataFrame, gamma: float, by: list[str] | None = None) -> DataFrame:
-    """ret: the discounted sum of r from each token on.
+def _reach(g: float) -> int:
+    """So many steps that g to their power is about 1e-260: scaled sums stay finite over them, and what lies beyond adds nothing."""
+    return 1 << 62 if g >= 1.0 else max(1, int(600 / -math.log(g)))
+
 
-    Without discount it is a reverse running sum; with discount the reverse fold is a running sum of gamma**pos * r,
-    scaled back, which stays exact enough for the lengths of one rollout or segment.
+def discounted(df: DataFrame, value: Column, g: float, by: list[str], name: str, gaps: bool = False) -> DataFrame:
+    """Adds ``name``: the sum of ``value`` from each row of a sequence on, discounted by ``g`` a step; any g and length, by window sums alone.
+
+    Steps are counted from the end, in runs of at most ``_reach(g)``. Within a run the sum of g**-k * value, scaled back by
+    g**k, gives every term a weight of at most 1; the last sum of the run behind it comes in by one product. With ``gaps`` a step
+    is a difference of ``pos``, else a row.
     """
-    w = Window.partitionBy(*(by or ["rollout_id"])).orderBy(F.desc("pos")).rowsBetween(Window.unboundedPreceding, 0)
-    if gamma == 1.0:
-        return trace.withColumn("ret", F.sum("r").over(w))
-    base = F.min("pos").over(Window.partitionBy(*(by or ["rollout_id"])))
-    k = F.col("pos") - F.col("_base")
-    return trace.withColumn("_base", base).withColumn("ret", F.sum(F.col("r") * F.pow(F.lit(gamma), k)).over(w) / F.pow(F.lit(gamma), k)).drop("_base")
+    back = Window.partitionBy(*by).orderBy(F.desc("pos"))
+    if g >= 1.0 or g <= 0.0:
+        return df.withColumn(name, F.sum(value).over(back.rowsBetween(Window.unboundedPreceding, 0)) if g >= 1.0 else value)
+    k = F.max("pos").over(Window.partitionBy(*by)) - F.col("pos") if gaps else F.row_number().over(back) - 1
+    reach, power = _reach(g), lambda x: F.pow(F.lit(g), x)
+    df = df.withColumn("_x", value).withColumn("_k", k.cast("long")).withColumn("_run", F.floor(F.col("_k") / reach))
+    own = F.sum(F.col("_x") * power(-(F.col("_k") % reach))).over(Window.partitionBy(*by, "_run").orderBy("_k").rowsBetween(Window.unboundedPreceding, 0))
+    df = df.withColumn("_own", own * power(F.col("_k") % reach))
+    ends = F.when(F.lead("_run").over(back) > F.col("_run"), F.struct(F.col("_k").alias("k"), F.col("_own").alias("sum")))
+    df = df.withColumn("_end", ends).withColumn("_end", F.last("_end", ignorenulls=True).over(back.rowsBetween(Window.unboundedPreceding, -1)))
+    return df.withColumn(name, F.col("_own") + F.coalesce(power(F.col("_k") - F.col("_end.k")) * F.col("_end.sum"), F.lit(0.0))).drop("_x", "_k", "_run", "_own", "_end")
+
+
+def returns(trace: DataFrame, gamma: float, by: list[str] | None = None) -> DataFrame:
+    """ret: the sum of r from each token on, discounted by the distance in ``pos``."""
+    return discounted(trace, F.col("r"), gamma, by or ["rollout_id"], "ret", gaps=True)
 
 
 def reinforce_pp(trace: DataFrame, gamma: float = 1.0, beta: float = 0.0, eps: float = EPS, across_segments: bool = True) -> DataFrame:
@@ -88,35 +106,32 @@ def reinforce_pp(trace: DataFrame, gamma: float = 1.0, beta: float = 0.0, eps: f
     return out.crossJoin(F.broadcast(s)).withColumn("adv", (F.col("adv") - F.col("_mean")) / (F.col("_std") + eps)).drop("_mean", "_std", "r", "ret")
 
 
+def _differences(trace: DataFrame, gamma: float, by: list[str]) -> Column:
+    """The temporal difference r + gamma * (value of the next token, 0 after the last) - v."""
+    w = Window.partitionBy(*by).orderBy("pos")
+    return F.col("r") + gamma * F.coalesce(F.lead("v").over(w), F.lit(0.0)) - F.col("v")
+
+
 def gae(trace: DataFrame, gamma: float = 1.0, lam: float = 0.95, by: list[str] | None = None) -> DataFrame:
-    """adv and ret per token from r and v: a fold over each sequence's reversed temporal differences; the value after the last is 0."""
+    """adv and ret per token from r and v: temporal differences discounted by gamma * lam; linear in the length of a sequence."""
     by = by or ["rollout_id"]
-    seq = trace.groupBy(*by).agg(F.array_sort(F.collect_list(F.struct("pos", "r", "v"))).alias("s"))
-    n = F.size("s")
-    delta = F.transform("s", lambda x, i: x["r"] + gamma * F.when(i + 1 < n, F.get("s", i + 1)["v"]).otherwise(0.0) - x["v"])
-    seq = seq.withColumn("d", F.reverse(delta))
-    fold = F.aggregate("d", F.array().cast("array<double>"), lambda acc, x: F.concat(F.array(x + gamma * lam * F.coalesce(F.get(acc, F.lit(0)), F.lit(0.0))), acc))
-    seq = seq.select(*by, F.explode(F.arrays_zip(F.col("s").alias("s"), fold.alias("a"))).alias("z"))
-    return seq.select(*by, F.col("z.s.pos").alias("pos"), F.col("z.a").alias("adv"), (F.col("z.a") + F.col("z.s.v")).alias("ret"))
+    d = trace.select(*by, "pos", "r", "v").withColumn("_d", _differences(trace, gamma, by))
+    return discounted(d, F.col("_d"), gamma * lam, by, "adv").select(*by, "pos", "adv", (F.col("adv") + F.col("v")).alias("ret"))
 
 
 def gae_chunked(trace: DataFrame, gamma: float = 1.0, lam: float = 0.95, chunk: int = 4096) -> DataFrame:
-    """The same for sequences too long for one array: each chunk is an affine map of what follows it.
+    """The same with a sequence's chunks summed in separate tasks: each chunk is an affine map of what follows it.
 
-    Inside a chunk the fold starts from 0; a chunk of n tokens passes (gamma * lam)**n of its successor's first value on.
-    Only one row per chunk meets in the second step.
+    A chunk of n tokens passes (gamma * lam)**n of its successor's first value on. Only one row per chunk meets in the second step.
     """
-    w = Window.partitionBy("rollout_id").orderBy("pos")
-    d = trace.withColumn("d", F.col("r") + gamma * F.coalesce(F.lead("v").over(w), F.lit(0.0)) - F.col("v")).withColumn("chunk", F.floor(F.col("pos") / chunk))
     g = gamma * lam
-    inner = Window.partitionBy("rollout_id", "chunk").orderBy(F.desc("pos")).rowsBetween(Window.unboundedPreceding, 0)
-    k = F.col("pos") - F.col("chunk") * chunk
-    d = d.withColumn("_a", F.sum(F.col("d") * F.pow(F.lit(g), k)).over(inner) / F.pow(F.lit(g), k))
-    per = d.groupBy("rollout_id", "chunk").agg(F.min_by("_a", "pos").alias("first"), F.count("*").alias("n"), F.min("pos").alias("lo"))
+    chunk = min(chunk, _reach(g)) if g > 0 else chunk
+    d = trace.withColumn("d", _differences(trace, gamma, ["rollout_id"])).withColumn("chunk", F.floor(F.col("pos") / chunk))
+    d = discounted(d, F.col("d"), g, ["rollout_id", "chunk"], "_a")
+    per = d.groupBy("rollout_id", "chunk").agg(F.min_by("_a", "pos").alias("first"), F.count("*").alias("n"), F.max("pos").alias("_last"))
     seq = per.groupBy("rollout_id").agg(F.reverse(F.array_sort(F.collect_list(F.struct("chunk", "first", "n")))).alias("c"))
     step = lambda acc, x: F.struct((x["first"] + F.pow(F.lit(g), x["n"]) * acc["carry"]).alias("carry"), F.concat(acc["out"], F.array(F.struct(x["chunk"].alias("chunk"), acc["carry"].alias("after")))).alias("out"))
     zero = F.struct(F.lit(0.0).alias("carry"), F.array().cast("array<struct<chunk:bigint,after:double>>").alias("out"))
     after = seq.select("rollout_id", F.inline(F.aggregate("c", zero, step, lambda a: a["out"])))
-    ends = per.select("rollout_id", "chunk", (F.col("lo") + F.col("n")).alias("_end"))
-    out = d.join(after, ["rollout_id", "chunk"]).join(ends, ["rollout_id", "chunk"])
-    return out.select("rollout_id", "pos", (F.col("_a") + F.pow(F.lit(g), F.col("_end") - F.col("pos")) * F.col("after")).alias("adv"))
+    out = d.join(after.join(per.select("rollout_id", "chunk", "_last"), ["rollout_id", "chunk"]), ["rollout_id", "chunk"])
+    return out.select("rollout_id", "pos", (F.col("_a") + F.pow(F.lit(g), F.col("_last") + 1 - F.col("pos")) * F.col("after")).alias("adv"))

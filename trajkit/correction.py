@@ -58,9 +58,9 @@ def gate_truncate(trace: DataFrame, low: float = 0.99, high: float = 1.01, cap:
 
 
 @register("correction", "seq_truncate")
-def seq_truncate(trace: DataFrame, cap: float = CAP, by: tuple[str, ...] = ("rollout_id",), check_versions: bool = False) -> DataFrame:
-    """One weight for a whole sequence: its product ratio, truncated. Sequences that mix versions have no single sampling policy."""
-    if check_versions and version_mix(trace, by).filter("n_versions > 1").limit(1).count():
+def seq_truncate(trace: DataFrame, cap: float = CAP, by: tuple[str, ...] = ("rollout_id",), check_versions: bool = True) -> DataFrame:
+    """One weight for a whole sequence: its product ratio, truncated. Sequences that mix versions have no single sampling policy, so a trace that records versions is checked."""
+    if check_versions and "version" in trace.columns and version_mix(trace, by).filter("n_versions > 1").limit(1).count():
         raise ValueError("a sequence mixes policy versions; use per-token rules")
     return sequence_ratio(trace, "prod", by).withColumn("w", F.least(F.exp("log_ratio"), F.lit(cap)))
 

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from trajkit import tokens
+from trajkit.ranking import global_rank, with_range
 from trajkit.session import materialise
 
 ALPHA, VERSIONS = 0.1, 4
@@ -65,14 +66,27 @@ def top_k(policy: DataFrame, k: int) -> DataFrame:
     return best.withColumn("p", F.col("p") / F.sum("p").over(Window.partitionBy()))
 
 
-def nucleus(policy: DataFrame, top_p: float, head: int = 65_536) -> DataFrame:
-    """The smallest set of likeliest tokens with mass of at least top_p, renormalised; looked for among the ``head`` likeliest."""
+def nucleus(policy: DataFrame, top_p: float) -> DataFrame:
+    """The smallest set of likeliest tokens (ties by id) with mass of at least top_p, renormalised, over a policy of any size.
+
+    Masses are summed by distinct probability first, and one row tells where the set ends; only tokens of that one probability are
+    ranked by id.
+    """
     if top_p >= 1.0:
         return policy.select("token_id", F.exp("logp").alias("p"))
-    best = policy.orderBy(F.desc("logp"), "token_id").limit(head).select("token_id", F.exp("logp").alias("p"))
-    before = F.coalesce(F.sum("p").over(Window.orderBy(F.desc("p"), "token_id").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))
-    kept = best.withColumn("_b", before).filter(F.col("_b") < top_p).drop("_b")
-    return kept.withColumn("p", F.col("p") / F.sum("p").over(Window.partitionBy()))
+    each = policy.groupBy("logp").agg((F.count("*") * F.exp("logp")).alias("_mass"))
+    each = with_range(each, -F.col("logp"))
+    sums = each.groupBy("_part").agg(F.sum("_mass").alias("_s"))
+    before = F.coalesce(F.sum("_s").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))  # one row a range
+    inside = F.coalesce(F.sum("_mass").over(Window.partitionBy("_part").orderBy(F.desc("logp")).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))
+    each = each.join(F.broadcast(sums.select("_part", before.alias("_b"))), "_part").withColumn("_before", F.col("_b") + inside)
+    edge = each.filter(F.col("_before") < top_p).agg(F.min_by(F.struct("logp", "_before"), "logp").alias("e")).first()["e"]
+    if edge is None:
+        return policy.select("token_id", F.exp("logp").alias("p"))
+    last = global_rank(policy.filter(F.col("logp") == F.lit(edge["logp"])), F.col("token_id"), [])
+    last = last.filter(F.lit(edge["_before"]) + (F.col("rank") - 1) * F.exp("logp") < top_p)
+    kept = policy.filter(F.col("logp") > F.lit(edge["logp"])).select("token_id", F.exp("logp").alias("p")).unionByName(last.select("token_id", F.exp("logp").alias("p")))
+    return kept.crossJoin(F.broadcast(kept.agg(F.sum("p").alias("_all")))).select("token_id", (F.col("p") / F.col("_all")).alias("p"))
 
 
 def uniform(*parts: Column) -> Column:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import heapq
+from collections import Counter, deque
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
@@ -46,12 +47,69 @@ def one_step(batched: DataFrame, train_us: int) -> DataFrame:
     return r.withColumn("generation", gen).withColumn("step", F.greatest(gen, F.when(F.col("batch") > 0, F.lit(train_us)).otherwise(0)))
 
 
+def pool_run(jobs: list[tuple[int, float]], workers: int, batch: int, queue: int, train_us: float, mode: str) -> dict:
+    """One pool by events in time: ``jobs`` are (group, microseconds) in the order of dispatch, rollouts of a group together.
+
+    streaming: the trainer takes the ``batch`` groups that were complete first; no group starts while ``queue`` of them wait.
+    barrier: a round of ``batch`` groups starts when the round before is complete and trained on. one_step: when the
+    round before is complete and the one before that trained on. A last batch that isn't full is not trained on.
+    """
+    left = Counter(g for g, _ in jobs)
+    place = {g: k for k, g in enumerate(dict.fromkeys(g for g, _ in jobs))}
+    in_round = Counter(k // batch for k in place.values())
+    room = max(queue, batch)
+    events, idle, at, busy, now = [], workers, 0, 0.0, 0.0
+    waiting, rounds_ready, finished_rounds, trained, training, steps, widest = 0, deque(), 0, 0, False, [], 0
+
+    def may_start(g: int) -> bool:
+        if mode == "streaming":
+            return waiting < room or place[g] in begun
+        r = place[g] // batch
+        return finished_rounds >= r and trained >= r - (mode == "one_step")
+
+    begun: set[int] = set()
+    while True:
+        while at < len(jobs) and idle and may_start(jobs[at][0]):
+            g, length = jobs[at]
+            begun.add(place[g])
+            heapq.heappush(events, (now + length, 1, g))
+            idle, at, busy = idle - 1, at + 1, busy + length
+        if not training and (waiting >= batch if mode == "streaming" else rounds_ready):
+            if mode == "streaming":
+                waiting -= batch
+            else:
+                rounds_ready.popleft()
+            training = True
+            heapq.heappush(events, (now + train_us, 0, -1))
+            continue
+        if not events:
+            return {"steps": steps, "span": now, "busy": busy, "widest": widest}
+        now, rollout, g = heapq.heappop(events)
+        if not rollout:
+            training, trained = False, trained + 1
+            steps.append(now)
+            continue
+        idle += 1
+        left[g] -= 1
+        if left[g]:
+            continue
+        if mode == "streaming":
+            waiting += 1
+            widest = max(widest, waiting)
+        else:
+            r = place[g] // batch
+            in_round[r] -= 1
+            if not in_round[r]:
+                finished_rounds += 1
+                if place[g] // batch < len(place) // batch:
+                    rounds_ready.append(r)
+
+
 def simulate(rollouts: DataFrame, configs: list[dict], n: int = 4) -> DataFrame:
     """A pool of W workers with list scheduling, one row per config: makespan, mean step, utilisation, largest queue of finished groups.
 
     A config (name, workers, batch, queue, train_us, mode) is simulated by one task, configs run side by side; only light
-    rows (group, duration) reach Python. mode: streaming, one_step or barrier. ``queue`` bounds finished groups that wait:
-    dispatch stops while it is full. Groups of at least ``n`` successful rollouts take part.
+    rows (group, duration) reach Python. See ``pool_run`` for the modes. Groups of at least ``n`` successful rollouts take part.
     """
     light = rollouts.filter("not failed").select("rollout_id", "group_id", "latency")
     spark = rollouts.sparkSession
@@ -61,40 +119,10 @@ def simulate(rollouts: DataFrame, configs: list[dict], n: int = 4) -> DataFrame:
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         c = pdf.iloc[0]
         jobs = pdf.sort_values(["group_id", "rollout_id"])
-        size = jobs.groupby("group_id")["rollout_id"].transform("size")
-        jobs = jobs[size >= n]
-        opens, place = ~jobs["group_id"].duplicated(), jobs.groupby("group_id").ngroup()
-        free, busy, left = [0.0] * int(c.workers), 0.0, jobs.groupby("group_id").size().to_dict()
-        done, trainer, steps, waiting, widest, gate = [], 0.0, [], [], 0, 0.0
-        heapq.heapify(free)
-        ends: dict = {}
-        for g, latency, new, i in zip(jobs["group_id"], jobs["latency"], opens, place):
-            if c["mode"] == "barrier" and new and i % int(c.batch) == 0 and i:
-                gate = max(max(free), trainer)  # all wait for the slowest, then for the update
-            start = max(heapq.heappop(free), gate)
-            end = start + latency * 60e6
-            busy += end - start
-            heapq.heappush(free, end)
-            ends[g] = max(ends.get(g, 0.0), end)
-            left[g] -= 1
-            if not left[g]:
-                done.append((ends[g], g))
-                if c["mode"] == "streaming":
-                    waiting = sorted([*waiting, ends[g]])
-                    widest = max(widest, len(waiting))
-                    if len(waiting) >= c.batch:
-                        trainer = max(trainer, waiting[int(c.batch) - 1]) + c.train_us
-                        steps.append(trainer)
-                        waiting = waiting[int(c.batch) :]
-                    if len(waiting) >= c.queue:
-                        gate = max(gate, trainer)
-                elif len(done) % int(c.batch) == 0:
-                    ready = max(t for t, _ in done[-int(c.batch) :])
-                    trainer = max(trainer, ready) + c.train_us
-                    steps.append(trainer)
-        gaps = [b - a for a, b in zip([0.0, *steps], steps)] or [0.0]
-        span = max([*free, trainer])
-        return pd.DataFrame([{"name": c["name"], "mode": c["mode"], "n_steps": len(steps), "makespan_s": span / 1e6, "step_s": sum(gaps) / len(gaps) / 1e6, "utilisation": busy / (span * c.workers) if span else 0.0, "widest_queue": widest}])
+        jobs = jobs[jobs.groupby("group_id")["rollout_id"].transform("size") >= n]
+        out = pool_run([(int(g), float(x) * 60e6) for g, x in zip(jobs["group_id"], jobs["latency"])], int(c["workers"]), int(c["batch"]), int(c["queue"]), float(c["train_us"]), c["mode"])
+        gaps, span = [b - a for a, b in zip([0.0, *out["steps"]], out["steps"])] or [0.0], out["span"]
+        return pd.DataFrame([{"name": c["name"], "mode": c["mode"], "n_steps": len(out["steps"]), "makespan_s": span / 1e6, "step_s": sum(gaps) / len(gaps) / 1e6, "utilisation": out["busy"] / (span * c["workers"]) if span else 0.0, "widest_queue": out["widest"]}])
 
     return rows.groupBy("name").applyInPandas(run, "name string, mode string, n_steps long, makespan_s double, step_s double, utilisation double, widest_queue long")
 

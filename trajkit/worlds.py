@@ -80,7 +80,10 @@ def step(states: DataFrame, world: World) -> DataFrame:
 
 
 def run_world(states: DataFrame, world: World, act, max_steps: int) -> DataFrame:
-    """Steps all live states together until they end; each step is written to the shared folder, so lineage stays flat."""
+    """Steps all live states together until they end; each step is written to the shared folder, so lineage stays flat.
+
+    States that are still live after ``max_steps`` come with the others, not terminated.
+    """
     done, live = None, states
     for _ in range(max_steps):
         out = materialise(step(act(live), world))
@@ -88,8 +91,8 @@ def run_world(states: DataFrame, world: World, act, max_steps: int) -> DataFrame
         done = ended if done is None else done.unionByName(ended)
         live = out.filter("not terminated").withColumn("t", F.col("t") + 1).select(*states.columns)
         if not live.limit(1).count():
-            break
-    return done
+            return done
+    return done if done is None else done.unionByName(out.filter("not terminated"))
 
 
 def tool_states(turns_df: DataFrame) -> DataFrame:
