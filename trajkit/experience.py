@@ -7,7 +7,7 @@ import heapq
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from trajkit.ranking import global_rank
+from trajkit.ranking import global_rank, with_range
 
 NODES = 100
 
@@ -55,14 +55,14 @@ def transfer(assigned: DataFrame, places: DataFrame, ranks: int) -> DataFrame:
 
 
 def assign(light_rows: DataFrame, ranks: int, how: str = "serpentine", keep_groups: bool = False, window: list[str] | None = None) -> DataFrame:
-    """Adds rank_id. serpentine: sorted by length, to and fro; lpt: longest first to the least loaded rank; round_robin; hash; prefix: equal shares of cumulated length.
+    """Adds rank_id. serpentine: sorted by length, to and fro; lpt: longest first to the least loaded rank; round_robin; hash; prefix: in the order of ids, equal shares of cumulated length.
 
     ``keep_groups`` assigns whole groups by their total length. lpt runs per ``window`` on (id, length) rows only.
     """
     if keep_groups:
         g = light_rows.groupBy("group_key").agg(F.sum("length").alias("length")).withColumnRenamed("group_key", "experience_id")
         out = assign(g, ranks, how).select(F.col("experience_id").alias("group_key"), "rank_id")
-        return light_rows.join(F.broadcast(out), "group_key")
+        return light_rows.join(out, "group_key")  # one row a group, which grows with the data
     if how == "hash":
         return light_rows.withColumn("rank_id", F.pmod(F.conv(F.substring(F.md5(F.col("experience_id").cast("string")), 1, 8), 16, 10).cast("long"), F.lit(ranks)))
     if how == "round_robin":
@@ -70,6 +70,14 @@ def assign(light_rows: DataFrame, ranks: int, how: str = "serpentine", keep_grou
     if how == "serpentine":
         k = F.pmod(F.col("rank") - 1, F.lit(2 * ranks))
         return global_rank(light_rows, F.col("length"), ["experience_id"], descending=True).withColumn("rank_id", F.when(k < ranks, k).otherwise(2 * ranks - 1 - k)).drop("rank")
+    if how == "prefix":
+        parts = with_range(light_rows, F.col("experience_id"))
+        sums = parts.groupBy("_part").agg(F.sum("length").alias("_s"))
+        shift = F.coalesce(F.sum("_s").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))  # one row a range
+        sums = sums.select("_part", shift.alias("_shift")).crossJoin(sums.agg(F.sum("_s").alias("_total")))
+        inside = F.coalesce(F.sum("length").over(Window.partitionBy("_part").orderBy("experience_id").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+        share = F.floor((F.col("_shift") + inside) * ranks / F.greatest("_total", F.lit(1)))
+        return parts.join(F.broadcast(sums), "_part").withColumn("rank_id", F.least(share, F.lit(ranks - 1).cast("long"))).drop("_part", "_shift", "_total")
     if how == "lpt":
 
         def place(pdf):

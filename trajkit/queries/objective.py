@@ -283,3 +283,62 @@ SELECT sg.rollout_id, segment_seq, n_tokens, round(adv, 6) AS adv FROM sg JOIN l
 def reward_once(s, d):
     seg = workloads.action_tokens(s, d).groupBy("rollout_id", "segment_seq").agg(F.count("*").alias("n_tokens"))
     return groups.fan_out(live(s, d).select("rollout_id", "adv"), seg).select("rollout_id", "segment_seq", "n_tokens", r6("adv"))
+
+
+# ---- masks and versions: the same with context tokens in the trace ------------------------------
+
+
+def masked(s, d):
+    """The trace with its context tokens: only actions carry loss, weight and gradient; versions change within a rollout."""
+    t = trace(s, d).withColumn("m", F.col("mixed_action").cast("int"))
+    return t.withColumn("version", F.floor(F.datediff(F.to_date("sampled_at"), F.lit("1992-01-01").cast("date")) / 30))
+
+
+_MASKED = f"WITH {TRACE}, mt AS (SELECT *, mixed_action::INT AS m, datediff('day', DATE '1992-01-01', sampled_at::DATE) // 30 AS version, exp(c - o) AS q, exp(o - b) AS rho FROM trace)"
+_CLIP = "least(q * adv, greatest(least(q, 1.2), 0.8) * adv)"
+
+
+@query("loss_masked", _MASKED + f"""SELECT round(sum(m * least(rho, 2) * -{_CLIP}), 6) AS num, sum(m)::BIGINT AS den, round(sum(m * least(rho, 2) * -{_CLIP}) / sum(m), 6) AS loss, count(*) AS n_tokens FROM mt""")
+def loss_masked(s, d):
+    """Context tokens are in the window and in neither sum."""
+    t = correction.token_truncate(masked(s, d)).withColumn("l", F.col("w") * losses.surrogate("clip"))
+    return losses.window_token_mean(t).select(r6("num"), "den", r6("loss")).crossJoin(t.agg(F.count("*").alias("n_tokens")))
+
+
+@query("loss_masked_means", _MASKED + """SELECT 'sequence' AS over, round(avg(x), 6) AS loss FROM (SELECT sum(m * -q * adv) / sum(m) AS x FROM mt GROUP BY rollout_id, segment_seq HAVING sum(m) > 0)
+UNION ALL SELECT 'rank', round(avg(x), 6) FROM (SELECT sum(m * -q * adv) / sum(m) AS x FROM mt GROUP BY group_id % 8 HAVING sum(m) > 0)
+UNION ALL SELECT 'window', round(sum(m * -q * adv) / sum(m), 6) FROM mt""")
+def loss_masked_means(s, d):
+    """Means of means weigh a token by the company it keeps; the window mean does not."""
+    t = masked(s, d).withColumn("w", F.lit(1.0)).withColumn("l", losses.surrogate("plain")).withColumn("rank_id", F.pmod("group_id", F.lit(8)))
+    named = lambda df, name: df.select(F.lit(name).alias("over"), r6("loss"))
+    out = named(losses.mean_of_means(t, ["rollout_id", "segment_seq"]), "sequence").unionByName(named(losses.mean_of_means(t, ["rank_id"]), "rank"))
+    return out.unionByName(named(losses.window_token_mean(t), "window"))
+
+
+query("loss_masked_invariance", _MASKED + " " + " UNION ALL ".join(
+    f"SELECT {r} AS ranks, {k} AS microbatches, (SELECT round(sum(m * -q * adv) / sum(m), 6) FROM mt) AS loss, (SELECT round(avg(x), 6) FROM (SELECT sum(m * -q * adv) / sum(m) AS x FROM mt GROUP BY rollout_id % {r}, (rollout_id // {r}) % {k} HAVING sum(m) > 0)) AS mean_of_means"
+    for r, k in _SPLITS
+))(lambda s, d: losses.invariance(masked(s, d).withColumn("w", F.lit(1.0)).withColumn("l", losses.surrogate("plain")), _SPLITS).select("ranks", "microbatches", r6("loss"), r6("mean_of_means")))
+
+
+@query("gate_masked", _MASKED + """, sq AS (SELECT rollout_id, segment_seq, exp(avg(o - b) FILTER (m = 1)) AS g, sum(m) AS n FROM mt GROUP BY ALL HAVING sum(m) > 0)
+SELECT rollout_id, segment_seq, n::BIGINT AS n_actions, g BETWEEN 0.8 AND 1.2 AS kept FROM sq""")
+def gate_masked(s, d):
+    """The gate's ratio is over action tokens alone; a segment without any has none."""
+    t = correction.seq_gate(masked(s, d), 0.8, 1.2).filter("m = 1")
+    return t.groupBy("rollout_id", "segment_seq").agg(F.count("*").alias("n_actions"), (F.max("w") == 1).alias("kept"))
+
+
+@query("corr_seq_tis_versions", _MASKED + """, one AS (SELECT rollout_id FROM mt GROUP BY 1 HAVING count(DISTINCT version) = 1), sq AS (SELECT rollout_id, least(exp(sum(o - b) FILTER (m = 1)), 2) AS w, sum(m) AS n FROM mt JOIN one USING (rollout_id) GROUP BY 1)
+SELECT rollout_id, round(w, 6) AS w, n::BIGINT AS n_actions FROM sq WHERE n > 0""")
+def corr_seq_tis_versions(s, d):
+    """Rollouts of a single version may take one weight a sequence; the rule refuses any others."""
+    t = masked(s, d)
+    t = t.join(correction.version_mix(t).filter("n_versions = 1").select("rollout_id"), "rollout_id", "left_semi")
+    return correction.seq_truncate(t).filter("m = 1").groupBy("rollout_id").agg(F.round(F.max("w"), 6).alias("w"), F.count("*").alias("n_actions"))
+
+
+query("grad_masked", _GRAD.replace("FROM trace)", "FROM trace WHERE mixed_action)") + " SELECT token_id, round(grad * 1000 + 0.0, 6) AS grad_milli FROM g")(
+    lambda s, d: update.gradient(update.coefficients(correction.token_truncate(masked(s, d))), part_policy(s, d)).select("token_id", r6(F.col("grad") * 1000 + 0.0, "grad_milli"))
+)

@@ -42,6 +42,10 @@ _SNAKE = "o AS (SELECT doc_id AS experience_id, source AS group_key, len(text) A
 query("assign_snake", f"WITH {_SNAKE} SELECT experience_id, rank_id FROM sn")(lambda s, d: experience.assign(light(s, d), RANKS).select("experience_id", "rank_id"))
 query("assign_rr", "SELECT doc_id AS experience_id, (row_number() OVER (ORDER BY doc_id) - 1) % 8 AS rank_id FROM documents")(lambda s, d: experience.assign(light(s, d), RANKS, "round_robin").select("experience_id", "rank_id"))
 query("assign_hash", "SELECT doc_id AS experience_id, ('0x' || substr(md5(doc_id::VARCHAR), 1, 8))::BIGINT % 8 AS rank_id FROM documents")(lambda s, d: experience.assign(light(s, d), RANKS, "hash").select("experience_id", "rank_id"))
+query("assign_prefix", """WITH k AS (SELECT doc_id AS experience_id, len(text) AS n, coalesce(sum(len(text)) OVER (ORDER BY doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM documents)
+SELECT experience_id, least(7, floor(before * 8 / (SELECT sum(n) FROM k)))::BIGINT AS rank_id FROM k""")(
+    lambda s, d: experience.assign(light(s, d), RANKS, "prefix").select("experience_id", "rank_id")
+)
 query("assign_lpt")(lambda s, d: experience.assign(light(s, d), RANKS, "lpt", window=["node"]).select("experience_id", "rank_id", "length"))
 query("assign_groups", """WITH g AS (SELECT source AS group_key, sum(len(text)) AS n FROM documents GROUP BY 1), k AS (SELECT group_key, row_number() OVER (ORDER BY n DESC, group_key) - 1 AS k FROM g)
 SELECT doc_id AS experience_id, CASE WHEN k % 16 < 8 THEN k % 16 ELSE 15 - k % 16 END AS rank_id FROM documents JOIN k ON source = group_key""")(lambda s, d: experience.assign(light(s, d), RANKS, keep_groups=True).select("experience_id", "rank_id"))

@@ -50,9 +50,11 @@ def prefix_cache(requests: DataFrame, engines: int = 4, how: str = "session", si
     """
     b = route_requests(blocks(requests, size), engines, how)
     order = F.struct("request_seq", "rollout_id")
-    first = F.min(order).over(Window.partitionBy("engine", "chain"))
-    hit = F.col("chain").isNotNull() & (first < order)
-    return b.withColumn("_hit", F.when(hit, size).otherwise(0)).groupBy("rollout_id", "request_seq").agg(F.max("prompt_tokens").alias("prompt_tokens"), F.sum("_hit").cast("long").alias("hit_tokens"))
+    # The block of a shared system prompt is in all requests: its first sight is a partial aggregate, never one task's window.
+    first = b.filter("chain is not null").groupBy("engine", "chain").agg(F.min(order).alias("_first"))
+    hit = F.coalesce(F.col("_first") < order, F.lit(False))
+    b = b.join(first, ["engine", "chain"], "left").withColumn("_hit", F.when(hit, size).otherwise(0))
+    return b.groupBy("rollout_id", "request_seq").agg(F.max("prompt_tokens").alias("prompt_tokens"), F.sum("_hit").cast("long").alias("hit_tokens"))
 
 
 def pack(requests: DataFrame, budget: int, max_seqs: int, key: str = "engine") -> DataFrame:
