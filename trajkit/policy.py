@@ -40,6 +40,22 @@ def fit_bigram(docs: DataFrame, version: int, backoff: float = 0.4, alpha: float
     return both.join(first, "prev").join(uni, "token_id").select("prev", "token_id", "n", ((1 - backoff) * F.col("n") / F.col("_n") + backoff * F.col("_u")).alias("p"))
 
 
+def score_bigram(trace: DataFrame, bigram: DataFrame, unigram: DataFrame, name: str = "target", backoff: float = 0.4) -> DataFrame:
+    """Adds each token's log-probability after the token before it in its rollout, and ``best``, the likeliest token there.
+
+    Pairs that were not seen have the unigram's share alone; after an unseen or no token the unigram holds whole.
+    """
+    t = trace.withColumn("prev", F.lag("token_id").over(Window.partitionBy("rollout_id").orderBy("pos")))
+    t = score(t, unigram, "_u")
+    first = unigram.orderBy(F.desc("logp"), "token_id").limit(1).select(F.col("token_id").alias("_top"), (backoff * F.exp("logp")).alias("_top_p"))
+    after = bigram.groupBy("prev").agg(F.max_by("token_id", F.struct(F.round("p", 12), -F.col("token_id"))).alias("_next"), F.max("p").alias("_next_p"))
+    t = t.join(bigram.select("prev", "token_id", F.col("p").alias("_p")), ["prev", "token_id"], "left").join(after, "prev", "left").crossJoin(F.broadcast(first))
+    known = F.col("_next").isNotNull()
+    logp = F.when(F.col("_p").isNotNull(), F.log("_p")).when(known, F.log(F.lit(backoff)) + F.col("_u")).otherwise(F.col("_u"))
+    best = F.when(known & (F.col("_next_p") >= F.col("_top_p")), F.col("_next")).otherwise(F.col("_top"))
+    return t.withColumn(name, logp).withColumn("best", best).drop("prev", "_u", "_p", "_next", "_next_p", "_top", "_top_p")
+
+
 def score(trace: DataFrame, policy: DataFrame, name: str = "o", broadcast_rows: int = 2_000_000) -> DataFrame:
     """Adds the log-probability of each token under ``policy``; tokens it lacks get its unseen mass.
 

@@ -152,6 +152,23 @@ def compact_policy(s, d):
     return out
 
 
+AGENTS = ("keep_all", "last_k", "summary", "drop_tool")
+#: Messages of each request under each agent's policy: the whole list, the last two, a note of the others before the last two, no tool messages.
+COMPACTED = r"""mk AS (SELECT *, row_number() OVER (PARTITION BY rollout_id, request_seq ORDER BY turn DESC) AS back FROM msg),
+cm AS (SELECT 'keep_all' AS policy, rollout_id, request_seq, turn, role, content FROM mk UNION ALL SELECT 'drop_tool', rollout_id, request_seq, turn, role, content FROM mk WHERE role <> 'tool'
+ UNION ALL SELECT 'last_k', rollout_id, request_seq, turn, role, content FROM mk WHERE back <= 2 UNION ALL SELECT 'summary', rollout_id, request_seq, turn, role, content FROM mk WHERE back <= 2
+ UNION ALL SELECT 'summary', rollout_id, request_seq, -1, 'system', string_agg(array_to_string(regexp_split_to_array(content, '\s+')[1:5], ' '), ' ' ORDER BY turn) FROM mk WHERE back > 2 GROUP BY 2, 3)"""
+
+
+def agents(s, d):
+    """Requests of the same conversations under each way of an agent with its context."""
+    r, out = requests(s, d), None
+    for p in AGENTS:
+        part = worlds.compact(r, p).withColumn("policy", F.lit(p))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 EDGES = [  # rollout, seq, messages, reply: retry, edited turn, shortened history, empty reply then continuation
     (1, 0, [("user", "a")], "b"), (1, 1, [("user", "a")], "b"),
     (2, 0, [("user", "a")], "b"), (2, 1, [("user", "A"), ("assistant", "b"), ("user", "c")], "d"),

@@ -6,9 +6,10 @@ import os
 
 from pyspark.sql import functions as F
 
-from trajkit import footprint, groups, measures, policy, workloads
+from trajkit import capture, footprint, groups, measures, policy, workloads
 from trajkit.registered import query
 from trajkit.oracles import FIRST, TRACE
+from trajkit.queries.capture import AGENTS, COMPACTED, REQ, WORDS, agents
 from trajkit.queries.objective import four, trace
 
 r6 = lambda c, name=None: F.round(F.col(c) if isinstance(c, str) else c, 6).alias(name or c)
@@ -76,22 +77,25 @@ def wl_grid(s, d):
     return out
 
 
-@query("wl_compaction", "WITH n AS (SELECT conv_id, sum(CASE WHEN role = 'assistant' THEN 1 ELSE 0 END) AS a FROM conversations GROUP BY 1) SELECT sum(CASE WHEN a > 0 THEN 1 ELSE 0 END)::BIGINT AS keep_all, sum(a)::BIGINT AS always FROM n")
+@query("wl_compaction", f"""WITH {REQ}, {COMPACTED}, rq AS (SELECT policy, req.* FROM req, (VALUES ('keep_all'), ('last_k'), ('summary'), ('drop_tool')) AS a(policy)),
+ml AS (SELECT policy, rollout_id, request_seq, any_value(reply) AS reply, list(role || ':' || content ORDER BY turn) FILTER (role IS NOT NULL) AS ms, coalesce(sum(len({WORDS.format('content')}) + 2), 0) AS prompt FROM (SELECT rq.policy, rq.rollout_id, rq.request_seq, reply, cm.turn, role, content FROM rq LEFT JOIN cm USING (policy, rollout_id, request_seq)) GROUP BY ALL),
+nx AS (SELECT *, list_concat(coalesce(ms, []), ['assistant:' || reply]) AS after, len({WORDS.format('reply')}) AS words FROM ml),
+lg AS (SELECT *, lag(after) OVER (PARTITION BY policy, rollout_id ORDER BY request_seq) AS seen FROM nx),
+sg AS (SELECT *, sum(CASE WHEN seen IS NULL OR coalesce(ms, [])[1:len(seen)] = seen THEN 0 ELSE 1 END) OVER (PARTITION BY policy, rollout_id ORDER BY request_seq) AS seg FROM lg),
+gr AS (SELECT policy, rollout_id, seg, count(*) AS n_requests, max_by(prompt + words + 2, request_seq) AS n_tokens, sum(words) AS n_actions FROM sg GROUP BY ALL)
+SELECT policy, sum(n_requests)::BIGINT AS n_requests, count(*) AS n_segments, sum(n_tokens)::BIGINT AS n_tokens, sum(n_actions)::BIGINT AS n_actions, sum(n_actions)::BIGINT AS n_sampled FROM gr GROUP BY 1""")
 def wl_compaction(s, d):
-    """Segments under an agent that keeps everything, and if each request were stored alone."""
-    from trajkit import capture, worlds
-
-    r = worlds.requests(worlds.turns(s, d))
-    n = lambda rule: capture.segment(r, check=rule).select("rollout_id", "segment_seq").distinct().agg(F.count("*").alias("keep_all" if rule == "both" else rule))
-    return n("both").crossJoin(n("always"))
-
-
-@query("wl_multiturn", "WITH n AS (SELECT conv_id, conv_id // 4 AS g FROM conversations GROUP BY ALL), k AS (SELECT g FROM n GROUP BY 1 HAVING count(*) >= 4) SELECT count(*) AS n_groups, 4 * count(*) AS n_rollouts FROM k")
-def wl_multiturn(s, d):
-    """Groups of four multi-turn rollouts whose observations are user turns."""
-    t = workloads.table(s, d, "conversations").select("conv_id").distinct()
-    g = t.groupBy(F.floor(F.col("conv_id") / 4).alias("g")).agg(F.count("*").alias("n")).filter("n >= 4")
-    return g.agg(F.count("*").alias("n_groups"), (4 * F.count("*")).alias("n_rollouts"))
+    """Segments, stored tokens and action tokens under each agent's way with its context; the actions are those sampled, however often context was rewritten."""
+    r, out = agents(s, d), None
+    for p in AGENTS:
+        own = r.filter(F.col("policy") == p)
+        seg = capture.assemble(capture.segment(own)).agg(
+            F.sum("n_requests").alias("n_requests"), F.count("*").alias("n_segments"), F.sum(F.size("token_ids")).alias("n_tokens"),
+            F.sum(F.size(F.filter("action_mask", lambda m: m))).alias("n_actions"),
+        )
+        part = seg.crossJoin(capture.engine_tokens(own).agg(F.count("*").alias("n_sampled"))).withColumn("policy", F.lit(p))  # one row each
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 @query("wl_multiturn_step")

@@ -4,10 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from trajkit import losses, measures, parallel, policy, routing, serving, workloads, worlds
+from trajkit import losses, measures, parallel, policy, routing, serving, workloads
 from trajkit.registered import query
 from trajkit.oracles import TRACE
-from trajkit.queries.capture import REQ, WORDS, requests
+from trajkit.queries.capture import COMPACTED, HEX, REQ, WORDS, agents, requests
 from trajkit.queries.objective import _loss
 from trajkit.queries.policies import engine, fit_sql
 from trajkit.queries.scheduling import _TOK, _versioned
@@ -27,9 +27,19 @@ def _vec(s, d):
 
 
 query("route_topk", f"WITH {_CENT}, {_route_sql()} SELECT vec_id, expert, place::INTEGER AS place FROM rt WHERE place <= 2")(lambda s, d: routing.route(_vec(s, d), routing.centroids(_vec(s, d)), 2))
-query("route_replay", "SELECT count(*) AS n_tokens, count(*)::BIGINT AS agree FROM embeddings")(
-    lambda s, d: routing.replay(_vec(s, d).select("vec_id"), r := routing.route(_vec(s, d), routing.centroids(_vec(s, d)))).join(r.select("vec_id", F.col("expert").alias("recorded")), "vec_id").agg(F.count("*").alias("n_tokens"), F.sum((F.col("expert") == F.col("recorded")).cast("long")).alias("agree"))
-)
+
+
+@query("route_replay", f"WITH {_CENT}, {_route_sql(name='rt')}, {_route_sql(64, 'sv')} SELECT count(*) AS n_tokens, count(*)::BIGINT AS replayed_agree, sum(CASE WHEN rt.expert = sv.expert THEN 1 ELSE 0 END)::BIGINT AS rerouted_agree FROM sv JOIN rt USING (vec_id, place) WHERE place = 1")
+def route_replay(s, d):
+    """Routes recorded by a serving router of coarser weights: the actor that replays them against the one that routes anew."""
+    c = routing.centroids(_vec(s, d))
+    served = routing.route(_vec(s, d), c, step=64).select("vec_id", F.col("expert").alias("served"))
+    anew = routing.route(_vec(s, d), c).select("vec_id", F.col("expert").alias("anew"))
+    both = routing.replay(_vec(s, d).select("vec_id"), served).withColumn("used", F.col("served")).join(anew, "vec_id")
+    agree = lambda a: F.sum((F.col(a) == F.col("served")).cast("long"))
+    return both.agg(F.count("*").alias("n_tokens"), agree("used").alias("replayed_agree"), agree("anew").alias("rerouted_agree"))
+
+
 _STEPS = (64, 256, 1024)
 
 
@@ -66,39 +76,50 @@ query("offload_trade", "SELECT 16.0::DOUBLE AS saved_gb, round(16.0 / 60, 6) AS
 
 # ---- speculation -----------------------------------------------------------------------------
 
-_SPEC = f"""WITH {REQ}, {fit_sql(3)}, {fit_sql(0)}, w AS (SELECT rollout_id, request_seq, {WORDS.format('reply')} AS w FROM req),
+_SPEC = f"""WITH RECURSIVE {REQ}, {fit_sql(3)}, {fit_sql(0)}, w AS (SELECT rollout_id, request_seq, {WORDS.format('reply')} AS w FROM req),
 e AS (SELECT rollout_id, ('0x' || substr(md5(p), 1, 8))::BIGINT AS token_id, row_number() OVER (PARTITION BY rollout_id ORDER BY request_seq, i) - 1 AS pos FROM (SELECT rollout_id, request_seq, unnest(w) AS p, unnest(range(len(w))) AS i FROM w)),
-t AS (SELECT e.*, (('0x' || substr(md5('spec:' || rollout_id || ':' || pos), 1, 8))::BIGINT + 0.5) / 4294967296.0 <= least(1, exp(coalesce(pol3.logp, other3.o) - coalesce(pol0.logp, other0.o))) AS ok FROM e LEFT JOIN pol3 USING (token_id) LEFT JOIN pol0 USING (token_id), other3, other0)"""
-
-
-def _spec(k):
-    if k == 0:
-        return "SELECT 0 AS k, count(*) AS n_tokens, count(*) AS passes, 0::BIGINT AS accepted FROM t"
-    return f"""SELECT {k} AS k, sum(n)::BIGINT AS n_tokens, sum(CASE WHEN bad IS NULL THEN 1 ELSE n - bad END)::BIGINT AS passes, sum(coalesce(bad, least(n, {k})))::BIGINT AS accepted
-FROM (SELECT rollout_id, pos // {k + 1} AS b, count(*) AS n, min(CASE WHEN NOT ok AND pos % {k + 1} < {k} THEN pos % {k + 1} END) AS bad FROM t GROUP BY ALL)"""
+dw AS (SELECT {WORDS.format('text')} AS w FROM documents),
+bc AS (SELECT {HEX.format('a')} AS prev, {HEX.format('c')} AS token_id, count(*) AS n FROM (SELECT unnest(w[:-2]) AS a, unnest(w[2:]) AS c FROM dw WHERE len(w) > 1) GROUP BY ALL),
+bf AS (SELECT prev, sum(n) AS t FROM bc GROUP BY 1), bi AS (SELECT prev, bc.token_id, 0.6 * bc.n / t + 0.4 * exp(logp) AS p FROM bc JOIN bf USING (prev) JOIN pol3 ON pol3.token_id = bc.token_id),
+bt AS (SELECT prev, token_id AS next, p AS next_p FROM (SELECT *, row_number() OVER (PARTITION BY prev ORDER BY round(p, 12) DESC, token_id) AS k FROM bi) WHERE k = 1),
+top AS (SELECT token_id AS top, 0.4 * exp(logp) AS top_p FROM pol3 ORDER BY logp DESC, token_id LIMIT 1),
+ep AS (SELECT *, lag(token_id) OVER (PARTITION BY rollout_id ORDER BY pos) AS prev, count(*) OVER (PARTITION BY rollout_id) AS n FROM e),
+sc AS (SELECT ep.rollout_id, ep.pos, ep.n, CASE WHEN bi.p IS NOT NULL THEN ln(bi.p) WHEN bt.next IS NOT NULL THEN ln(0.4) + coalesce(pol3.logp, other3.o) ELSE coalesce(pol3.logp, other3.o) END AS target,
+ coalesce(pol0.logp, other0.o) AS draft, ep.token_id = CASE WHEN next_p >= top_p THEN next ELSE top END AS likeliest
+ FROM ep LEFT JOIN bi ON bi.prev = ep.prev AND bi.token_id = ep.token_id LEFT JOIN bt ON bt.prev = ep.prev LEFT JOIN pol3 ON pol3.token_id = ep.token_id LEFT JOIN pol0 ON pol0.token_id = ep.token_id, top, other3, other0),
+ok AS (SELECT 'sampled' AS acceptance, rollout_id, pos, n, (('0x' || substr(md5('spec:' || rollout_id || ':' || pos), 1, 8))::BIGINT + 0.5) / 4294967296.0 <= least(1, exp(target - draft)) AS ok FROM sc
+ UNION ALL SELECT 'greedy', rollout_id, pos, n, likeliest FROM sc),
+st AS (SELECT acceptance, rollout_id, pos, n, coalesce(min(CASE WHEN NOT ok THEN pos END) OVER (PARTITION BY acceptance, rollout_id ORDER BY pos ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING), n) AS bad FROM ok),
+walk AS (SELECT acceptance, rollout_id, k, 0::BIGINT AS pos FROM (SELECT DISTINCT acceptance, rollout_id FROM st), (VALUES (0), (1), (2), (4)) AS ks(k)
+ UNION ALL SELECT walk.acceptance, walk.rollout_id, k, least(bad, walk.pos + k) + 1 FROM walk JOIN st ON st.acceptance = walk.acceptance AND st.rollout_id = walk.rollout_id AND st.pos = walk.pos),
+sp AS (SELECT walk.acceptance, k, (SELECT count(*) FROM e) AS n_tokens, count(*) AS passes, sum(least(bad, walk.pos + k, n) - walk.pos)::BIGINT AS accepted
+ FROM walk JOIN st ON st.acceptance = walk.acceptance AND st.rollout_id = walk.rollout_id AND st.pos = walk.pos GROUP BY ALL)"""
 
 
 def _spec_trace(s, d):
+    """Replies scored once: by the pairs of all documents (the target) and by an older version's words (the draft)."""
     from pyspark.sql import Window
 
+    from trajkit.session import materialise
+
     e = engine(s, d).withColumn("pos", (F.row_number().over(Window.partitionBy("rollout_id").orderBy("request_seq", "pos")) - 1).cast("long"))
     docs = workloads.table(s, d, "documents")
-    return policy.score(policy.score(e, policy.fit_once(docs, 3), "target"), policy.fit_once(docs, 0), "draft")
+    scored = policy.score_bigram(policy.score(e, policy.fit_once(docs, 0), "draft"), materialise(policy.fit_bigram(docs, 3)), policy.fit_once(docs, 3))
+    return materialise(scored.select("rollout_id", "pos", "token_id", "target", "draft", "best"))
 
 
 def _speculation(s, d, ks):
-    t, out = _spec_trace(s, d), None
-    for k in ks:
-        part = serving.speculate(t, k).agg(F.sum("n_tokens").alias("n_tokens"), F.sum("passes").alias("passes"), F.sum("accepted").alias("accepted")).select(F.lit(k).alias("k"), "n_tokens", "passes", "accepted")
-        out = part if out is None else out.unionByName(part)
-    return out
+    t = _spec_trace(s, d)
+    parts = [serving.speculate(t, ks, greedy).withColumn("acceptance", F.lit("greedy" if greedy else "sampled")) for greedy in (False, True)]
+    return parts[0].unionByName(parts[1]).groupBy("acceptance", "k").agg(*[F.sum(c).alias(c) for c in ("n_tokens", "passes", "accepted")])
 
 
-query("spec_accept", f"{_SPEC} {_spec(4)}")(lambda s, d: _speculation(s, d, [4]))
-query("spec_speedup", f"{_SPEC}, a AS ({_spec(0)}), b AS ({_spec(4)}) SELECT round(a.passes / b.passes, 6) AS speedup, round(b.accepted / b.n_tokens, 6) AS accepted_share FROM a, b")(
-    lambda s, d: _speculation(s, d, [0, 4]).agg(r6(F.max(F.when(F.col("k") == 0, F.col("passes"))) / F.max(F.when(F.col("k") == 4, F.col("passes"))), "speedup"), r6(F.max(F.when(F.col("k") == 4, F.col("accepted") / F.col("n_tokens"))), "accepted_share"))
+query("spec_accept", f"{_SPEC} SELECT * FROM sp WHERE k = 4")(lambda s, d: _speculation(s, d, [4]))
+query("spec_speedup", f"{_SPEC} SELECT a.acceptance, b.k, round(a.passes / b.passes, 6) AS speedup, round(b.accepted / b.n_tokens, 6) AS accepted_share FROM sp a JOIN sp b USING (acceptance) WHERE a.k = 0 AND b.k > 0")(
+    lambda s, d: (x := _speculation(s, d, [0, 1, 2, 4])).filter("k > 0").join(x.filter("k = 0").select("acceptance", F.col("passes").alias("off")), "acceptance")
+    .select("acceptance", "k", r6(F.col("off") / F.col("passes"), "speedup"), r6(F.col("accepted") / F.col("n_tokens"), "accepted_share"))
 )
-query("wl_speculation", f"{_SPEC} " + " UNION ALL ".join(f"SELECT * FROM ({_spec(k)})" for k in (0, 1, 2, 4)))(lambda s, d: _speculation(s, d, [0, 1, 2, 4]))
+query("wl_speculation", f"{_SPEC} SELECT * FROM sp")(lambda s, d: _speculation(s, d, [0, 1, 2, 4]))
 
 # ---- prefix cache ----------------------------------------------------------------------------
 
@@ -129,8 +150,29 @@ def prefix_affinity(s, d):
 query("reprefill", f"WITH {REQ}, {_PIECES}, h AS ({_hits('session')}) SELECT sum(prompt_tokens)::BIGINT AS prompt_tokens, sum(hit_tokens)::BIGINT AS hit_tokens, sum(prompt_tokens - hit_tokens)::BIGINT AS uncached, round(sum(hit_tokens) / sum(prompt_tokens), 6) AS hit_rate, round(0.05 * count(*) + 1e-4 * sum(prompt_tokens - hit_tokens), 6) AS latency_s FROM h")(
     lambda s, d: measures.reprefill(serving.prefix_cache(requests(s, d)).filter("prompt_tokens > 0")).select("prompt_tokens", "hit_tokens", "uncached", r6("hit_rate"), r6("latency_s"))
 )
-query("wl_prefix", f"WITH {REQ}, {_PIECES} SELECT 'keep_all' AS policy, sum(hit_tokens)::BIGINT AS hit_tokens, sum(prompt_tokens)::BIGINT AS prompt_tokens FROM ({_hits('session')})")(
-    lambda s, d: serving.prefix_cache(worlds.compact(requests(s, d), "keep_all")).agg(F.sum("hit_tokens").alias("hit_tokens"), F.sum("prompt_tokens").alias("prompt_tokens")).select(F.lit("keep_all").alias("policy"), "hit_tokens", "prompt_tokens")
-)
+_CACHED = f"""{COMPACTED}, pp AS (SELECT policy, rollout_id, request_seq, turn, list_concat(list_concat(['<|' || role || '|>'], {WORDS.format('content')}), ['<|end|>']) AS p FROM cm),
+ps AS (SELECT policy, rollout_id, request_seq, flatten(list(p ORDER BY turn)) AS t FROM pp GROUP BY ALL),
+pb AS (SELECT policy, rollout_id, request_seq, md5(array_to_string(t[1:16 * b], ' ')) AS chain FROM ps, unnest(range(1, len(t) // 16 + 1)) AS u(b))"""
+
+
+def _cached(how, ttl):
+    near = "" if ttl is None else f" AND y.request_seq >= x.request_seq - {ttl}"
+    return f"""SELECT '{how}' AS affinity, {ttl if ttl else 0} AS ttl, policy, (16 * coalesce(hits, 0))::BIGINT AS hit_tokens, prompt_tokens FROM (SELECT policy, sum(len(t))::BIGINT AS prompt_tokens FROM ps GROUP BY 1) LEFT JOIN
+ (SELECT policy, count(*) AS hits FROM (SELECT *, {_ENGINES[how]} AS e FROM pb) x WHERE EXISTS (SELECT 1 FROM (SELECT *, {_ENGINES[how]} AS e FROM pb) y
+  WHERE y.policy = x.policy AND y.chain = x.chain AND y.e = x.e AND (y.request_seq, y.rollout_id) < (x.request_seq, x.rollout_id){near}) GROUP BY 1) USING (policy)"""
+
+
+@query("wl_prefix", f"WITH {REQ}, {_CACHED} " + " UNION ALL ".join(_cached(h, t) for h in ("session", "round_robin") for t in (None, 1)))
+def wl_prefix(s, d):
+    """Prompt tokens that engines hold already, by the agent's way with its context, the choice of engine, and with or without (0) eviction."""
+    r, out = agents(s, d), None
+    for how in ("session", "round_robin"):
+        for ttl in (None, 1):
+            hits = serving.prefix_cache(r, how=how, ttl=ttl, by=("policy",)).groupBy("policy").agg(F.sum("hit_tokens").alias("hit_tokens"), F.sum("prompt_tokens").alias("prompt_tokens"))
+            part = hits.select(F.lit(how).alias("affinity"), F.lit(ttl or 0).alias("ttl"), "policy", "hit_tokens", "prompt_tokens")
+            out = part if out is None else out.unionByName(part)
+    return out
+
+
 query("serve_pack")(lambda s, d: serving.pack(serving.route_requests(serving.prefix_cache(requests(s, d)), 4), 2048, 128))
 query("prefix_retained", _TOK + ", j AS (SELECT *, version <> lag(version) OVER (PARTITION BY rollout_id ORDER BY pos) AS jump FROM v) SELECT rollout_id, sum(CASE WHEN jump THEN pos ELSE 0 END)::BIGINT AS kept_prefix, sum(CASE WHEN jump THEN 1 ELSE 0 END)::BIGINT AS refits_seen FROM j GROUP BY 1")(lambda s, d: serving.retained(_versioned(s, d)))
