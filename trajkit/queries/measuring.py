@@ -6,11 +6,13 @@ import os
 
 from pyspark.sql import functions as F
 
-from trajkit import capture, footprint, groups, measures, policy, workloads
+from trajkit import capture, correction, footprint, groups, losses, measures, policy, update, workloads
 from trajkit.registered import query
 from trajkit.oracles import FIRST, TRACE
-from trajkit.queries.capture import AGENTS, COMPACTED, REQ, WORDS, agents
-from trajkit.queries.objective import four, trace
+from trajkit.queries.capture import _SET, AGENTS, COMPACTED, HEX, REQ, WORDS, agents
+from trajkit.queries.objective import _GRAD, four, part_policy, trace
+from trajkit.queries.policies import ENGINE, fit_sql
+from trajkit.queries.serving import _CENT, _route_sql
 
 r6 = lambda c, name=None: F.round(F.col(c) if isinstance(c, str) else c, 6).alias(name or c)
 query("m_reward", f"WITH {FIRST} SELECT round(avg(reward), 6) AS reward_mean, count(DISTINCT group_id) AS n_groups FROM four")(lambda s, d: measures.rewards(four(s, d)).select(r6("reward_mean"), "n_groups"))
@@ -50,11 +52,33 @@ SELECT path, count(*) AS lines, sum(CASE WHEN regexp_matches(line, '^\s*$') OR r
 query("footprint_own")(lambda s, d: footprint.count(s, [os.path.dirname(os.path.dirname(os.path.abspath(__file__)))]))
 
 
-@query("wl_group_step", f"WITH {TRACE}, w AS (SELECT *, greatest(0, least(length, 4)) AS cap FROM trace) SELECT count(*) AS n_tokens, count(DISTINCT rollout_id) AS n_rollouts, round(sum(-adv) / count(*), 6) AS loss FROM w WHERE pos < cap")
+_CAPPED = _GRAD.replace("FROM trace)", "FROM trace WHERE pos < least(4, 7 - group_id % 8))")
+
+
+@query("wl_group_step", f"""{_CAPPED}, cp AS (SELECT *, pos < least(4, 7 - group_id % 8) AS kept FROM trace), n AS (SELECT sqrt(sum(grad * grad)) AS norm FROM g),
+mv AS (SELECT 0.01 * g / (abs(g) + 1e-8) AS step FROM (SELECT grad * least(1.0, 1 / (norm + 1e-12)) AS g FROM g, n))
+SELECT count(*) AS n_tokens, count(DISTINCT rollout_id) AS n_rollouts, (SELECT count(DISTINCT rollout_id) FROM cp WHERE NOT kept) AS n_truncated,
+ round(sum(least(exp(o - b), 2) * -least(exp(c - o) * adv, greatest(least(exp(c - o), 1.2), 0.8) * adv)) / count(*), 6) AS loss, round(sum(least(exp(o - b), 2) * -least(exp(c - o) * adv, greatest(least(exp(c - o), 1.2), 0.8) * adv)) / count(*), 6) AS by_microbatch,
+ (SELECT count(*) FROM mv WHERE step > 1e-9) AS n_down, (SELECT count(*) FROM mv WHERE step < -1e-9) AS n_up, (SELECT round(max(abs(step)), 6) FROM mv) AS largest_move FROM cp WHERE kept""")
 def wl_group_step(s, d):
-    """The step at volume: first four samples of each prompt, a response cap, microbatches of one, no packing."""
-    t = trace(s, d).filter("pos < 4").withColumn("l", -F.col("adv"))
-    return t.agg(F.count("*").alias("n_tokens"), F.countDistinct("rollout_id").alias("n_rollouts"), r6(F.sum("l") / F.count("*"), "loss"))
+    """The step at volume: first four samples of each prompt, a context of eight tokens of which a response takes four at most,
+    truncated weights, microbatches of one rollout without packing, Adam on the policy of parts.
+
+    A prompt has 1 + group mod 8 tokens; one that fills the context leaves no response.
+    """
+    t = trace(s, d).withColumn("n_tokens", F.col("length")).withColumn("prompt_tokens", 1 + F.pmod("group_id", F.lit(8)))
+    t = policy.cap(t, 8, 4)
+    cut = t.filter("truncated").agg(F.countDistinct("rollout_id").alias("n_truncated"))
+    t = correction.token_truncate(t.filter("pos < kept")).withColumn("l", losses.contribution(losses.surrogate("clip")))
+    parts = losses.partial_sums(t, ["rollout_id"]).agg(r6(F.sum("num") / F.sum("den"), "by_microbatch"))
+    out = t.agg(F.count("*").alias("n_tokens"), F.countDistinct("rollout_id").alias("n_rollouts")).crossJoin(losses.window_token_mean(t).select(r6("loss"))).crossJoin(parts).crossJoin(cut)
+    pol = part_policy(s, d)
+    state = pol.select("token_id", "theta", F.lit(0.0).alias("mean"), F.lit(0.0).alias("var"))
+    after = update.adam(state, update.gradient(update.coefficients(t), pol), 1).select("token_id", F.col("theta").alias("after"))
+    move = F.col("after") - F.col("theta")
+    n = lambda c: F.sum(c.cast("long"))
+    moved = pol.join(after, "token_id").agg(n(move < -1e-9).alias("n_down"), n(move > 1e-9).alias("n_up"), r6(F.max(F.abs(move)), "largest_move"))
+    return out.crossJoin(moved)  # one row each
 
 
 @query("wl_grid", f"WITH {TRACE}, m AS (SELECT trace.*, reward - mu AS dr, least(exp(o - b), 2) AS w FROM trace JOIN gs USING (group_id)) "
@@ -63,8 +87,6 @@ def wl_group_step(s, d):
                             for n, x, f in (("window", f"sum(-{w} * {a}) / count(*)", "m"), ("sequence", "avg(x)", f"(SELECT avg(-{w} * {a}) AS x FROM m GROUP BY rollout_id)"), ("constant", f"sum(-{w} * {a}) / (count(DISTINCT rollout_id) * 8.0)", "m"))))
 def wl_grid(s, d):
     """Estimator by normaliser by correction on one window."""
-    from trajkit import correction, losses
-
     t = correction.token_truncate(trace(s, d))
     own = groups.stats(four(s, d)).select("group_id", F.col("mean").alias("mu"))
     t, out = t.join(own, "group_id").withColumn("dr", F.col("reward") - F.col("mu")), None
@@ -98,8 +120,25 @@ def wl_compaction(s, d):
     return out
 
 
-@query("wl_multiturn_step")
-def wl_multiturn_step(s, d):
+_EP = ", ".join(f"(SELECT max(n) FROM ep{k}) AS ep{k}_most, (SELECT sum(greatest(0, n - ceil((SELECT count(*) FROM tr) * 1.25 / {k})))::BIGINT FROM ep{k}) AS ep{k}_overflow" for k in (2, 5, 10))
+_F1 = f"coalesce(2.0 * len(list_intersect({_SET.format('reply')}, {_SET.format('content')})) / nullif(len({_SET.format('reply')}) + len({_SET.format('content')}), 0), 0)"
+
+
+@query("wl_multiturn", f"""WITH {REQ}, {COMPACTED}, {ENGINE}, {fit_sql(3)}, {_CENT}, {_route_sql()}, {_route_sql(64, 'sv')},
+f1 AS (SELECT rollout_id, avg({_F1}) AS reward FROM req JOIN mk USING (rollout_id, request_seq) WHERE back = 1 GROUP BY 1),
+rw AS (SELECT rollout_id, rollout_id // 4 AS g, coalesce(reward, 0) AS reward, count(*) OVER (PARTITION BY rollout_id // 4) AS n FROM (SELECT DISTINCT rollout_id FROM conv) LEFT JOIN f1 USING (rollout_id)),
+av AS (SELECT rollout_id, g, CASE WHEN max(reward) OVER q = min(reward) OVER q THEN 0 ELSE (reward - avg(reward) OVER q) / (stddev_samp(reward) OVER q + 1e-6) END AS adv FROM rw WHERE n >= 4 WINDOW q AS (PARTITION BY g)),
+ac AS (SELECT rollout_id, adv, coalesce(pol3.logp, other3.o) AS lo, coalesce(round(pol3.logp, 1), round(other3.o, 1)) AS lb FROM eng JOIN av USING (rollout_id) LEFT JOIN pol3 USING (token_id), other3),
+gt AS (SELECT *, exp(avg(lo - lb) OVER (PARTITION BY rollout_id)) BETWEEN 0.99 AND 1.01 AS pass FROM ac),
+ls AS (SELECT count(*) AS n_actions, sum(CASE WHEN pass THEN 0 ELSE 1 END)::BIGINT AS n_rejected, round(sum(CASE WHEN pass THEN -least(exp(lo - lb), 2) * adv ELSE 0 END) / count(*), 6) AS loss FROM gt),
+mq AS (SELECT rollout_id, max(turn) AS final FROM req GROUP BY 1),
+tk AS (SELECT rollout_id, g, {HEX.format('p')} % (SELECT count(*) FROM embeddings) AS k FROM (SELECT rollout_id, g, unnest(list_concat(list_concat(['<|' || role || '|>'], {WORDS.format('content')}), ['<|end|>'])) AS p FROM conv JOIN mq USING (rollout_id) JOIN av USING (rollout_id) WHERE turn <= final)),
+pl AS (SELECT vec_id, row_number() OVER (ORDER BY vec_id) - 1 AS k FROM embeddings),
+tr AS (SELECT tk.*, rt.expert, sv.expert AS anew FROM tk JOIN pl USING (k) JOIN rt ON rt.vec_id = pl.vec_id AND rt.place = 1 JOIN sv ON sv.vec_id = pl.vec_id AND sv.place = 1),
+""" + ", ".join(f"ep{k} AS (SELECT expert // {10 // k} AS r, count(*) AS n FROM tr GROUP BY 1)" for k in (2, 5, 10)) + f"""
+SELECT count(DISTINCT g) AS n_groups, count(DISTINCT rollout_id) AS n_rollouts, count(DISTINCT rollout_id) AS n_segments, count(*) AS n_tokens, n_actions, n_rejected, (SELECT max(n) FROM (SELECT count(*) AS n FROM tr GROUP BY rollout_id)) AS longest,
+ loss, loss AS sharded, count(*) AS n_replayed, sum(CASE WHEN expert <> anew THEN 1 ELSE 0 END)::BIGINT AS n_changed, {_EP} FROM tr, ls GROUP BY n_actions, n_rejected, loss""")
+def wl_multiturn(s, d):
     """The whole step on all complete groups of conversations: sampled at serving precision, gated and truncated, sharded, routes replayed."""
     from trajkit import multiturn, worlds
 

@@ -68,10 +68,38 @@ query("store_audit", "SELECT (SELECT count(*) FROM documents WHERE doc_id % 7 =
     lambda s, d: experience.audit(experience.light(built(s, d)).filter("experience_id % 11 <> 0 OR experience_id % 7 = 0"), light(s, d).filter("experience_id % 7 <> 0").select(F.col("experience_id").alias("payload_id")))
 )
 query("store_memory", f"WITH {_SNAKE}, r AS (SELECT rank_id, sum(length) AS l, count(*) AS n FROM sn GROUP BY 1) SELECT sum(l)::BIGINT AS controller_gather, (sum(n) * 48)::BIGINT AS controller_refs, max(l)::BIGINT AS rank_peak FROM r")(lambda s, d: experience.memory(experience.assign(light(s, d), RANKS)))
-query("wl_visual_store", "SELECT 'pages' AS payload, count(*) AS n, sum(strlen(html))::BIGINT AS gathered_bytes, count(*) * 48 AS reference_bytes FROM pages UNION ALL SELECT 'embeddings', count(*), (count(*) * 256)::BIGINT, count(*) * 48 FROM embeddings")(
-    lambda s, d: workloads.table(s, d, "pages").agg(F.lit("pages").alias("payload"), F.count("*").alias("n"), F.sum(F.octet_length("html")).alias("gathered_bytes"), (F.count("*") * 48).alias("reference_bytes"))
-    .unionByName(workloads.table(s, d, "embeddings").agg(F.lit("embeddings").alias("payload"), F.count("*").alias("n"), F.sum(F.size("embedding") * 4).alias("gathered_bytes"), (F.count("*") * 48).alias("reference_bytes")))
-)
+_HOWS = ("hash", "round_robin", "serpentine")
+
+
+def _heavy(s, d, name):
+    """Experiences whose payload is a page, a vector or a document; a vector's length is its bytes."""
+    t = workloads.table(s, d, name)
+    if name == "pages":
+        t = t.select(F.col("page_id").alias("doc_id"), F.lit(name).alias("source"), F.col("html").alias("text"))
+    if name == "embeddings":
+        e = experience.build(t.select(F.col("vec_id").alias("doc_id"), F.lit(name).alias("source"), F.concat_ws(" ", F.col("embedding").cast("array<string>")).alias("text")))
+        return e.drop("length").join(t.select(F.col("vec_id").alias("experience_id"), (4 * F.size("embedding")).cast("long").alias("length")), "experience_id")
+    return experience.build(t)
+
+
+@query("wl_visual_store", """WITH e AS (SELECT 'pages' AS payload, page_id AS id, len(html) AS n FROM pages UNION ALL SELECT 'documents', doc_id, len(text) FROM documents UNION ALL SELECT 'embeddings', vec_id, 4 * len(embedding) FROM embeddings),
+o AS (SELECT *, row_number() OVER (PARTITION BY payload ORDER BY id) - 1 AS i, row_number() OVER (PARTITION BY payload ORDER BY n DESC, id) - 1 AS k FROM e),
+r AS (SELECT payload, 'hash' AS how, ('0x' || substr(md5(id::VARCHAR), 1, 8))::BIGINT % 8 AS rank, n FROM o UNION ALL SELECT payload, 'round_robin', i % 8, n FROM o UNION ALL SELECT payload, 'serpentine', CASE WHEN k % 16 < 8 THEN k % 16 ELSE 15 - k % 16 END, n FROM o),
+l AS (SELECT payload, how, rank, sum(n) AS l, count(*) AS c FROM r GROUP BY ALL)
+SELECT payload, how, sum(c)::BIGINT AS n_reloaded, sum(l)::BIGINT AS controller_gather, (48 * sum(c))::BIGINT AS controller_refs, max(l)::BIGINT AS rank_peak, round(max(l) / avg(l), 6) AS imbalance FROM l GROUP BY ALL""")
+def wl_visual_store(s, d):
+    """Heavy payloads written by their nodes, light rows assigned to ranks by three rules, payloads reloaded and held against their digests:
+    what passes the controller, the fullest rank, and how far it lies above the mean."""
+    out = None
+    for name in ("pages", "documents", "embeddings"):
+        store = f"{shared_folder(s)}/store/{uuid.uuid4().hex}"
+        rows = experience.offload(_heavy(s, d, name), store).withColumn("digest_sent", F.col("ref.digest"))
+        for how in _HOWS:
+            a = experience.assign(rows, RANKS, how)
+            back = experience.reload(a, store).agg(F.sum((F.md5("payload") == F.col("digest_sent")).cast("long")).alias("n_reloaded"))
+            part = back.crossJoin(experience.memory(a)).crossJoin(measures.imbalance(a).select(r6("imbalance"))).withColumn("payload", F.lit(name)).withColumn("how", F.lit(how))  # one row each
+            out = part if out is None else out.unionByName(part)
+    return out
 
 
 @query("attn_mask", """WITH t AS (SELECT l_orderkey AS rollout_id, count(*) AS n FROM lineitem GROUP BY 1), b AS (SELECT *, rollout_id // 64 AS batch FROM t)
