@@ -34,6 +34,7 @@ def test_loop_keeps_every_entry_and_reads_the_turns(spark, small):
     assert last.count() == 601 == pipeline.start(docs).count()
     steps = log.orderBy("step").collect()
     assert steps[0]["n_tokens"] == 6 * 4 * 3 * (4 + 6) and 0 < steps[0]["reward_mean"] < 1
+    assert (steps[0]["n_rejected"], steps[0]["largest_weight"], steps[0]["longest_dialogue"]) == (0, 1.0, 2) and steps[0]["reward_std"] > 0
     # A sampled token comes back from the captured reply as it was drawn.
     pol, cfg = policy.fit_once(docs, 3), pipeline.Config()
     said = pipeline.rollouts(turns, pol, policy.pieces(docs), cfg, 3)

@@ -9,6 +9,9 @@ from dataclasses import fields
 from trajkit.pipeline import Config
 
 
+LOOPS = ("train_loop", "wl_full_path")  # queries that run the training loop, and so take its settings
+
+
 def config(path: str | None) -> Config:
     """The run's configuration from a JSON file, checked; unknown names fail."""
     given = {}
@@ -29,7 +32,7 @@ def main(args: list[str] | None = None) -> int:
     parser.add_argument("--config", help="JSON file with settings of the training loop")
     parser.add_argument("--master", help="for local runs, e.g. local[4]; leave out under spark-submit")
     a = parser.parse_args(args)
-    config(a.config)
+    settings = config(a.config)
     from trajkit import catalog
 
     if a.query == "list":
@@ -37,11 +40,13 @@ def main(args: list[str] | None = None) -> int:
         return 0
     if a.query not in catalog.QUERIES:
         parser.error(f"no query {a.query}")
+    if a.config and a.query not in LOOPS:
+        parser.error(f"--config is for {', '.join(LOOPS)}")
     from pyspark.sql import SparkSession
 
     builder = SparkSession.builder.appName("trajkit")
     spark = (builder.master(a.master) if a.master else builder).getOrCreate()
-    df = catalog.QUERIES[a.query](spark, a.data)
+    df = catalog.QUERIES[a.query](spark, a.data, *([settings] if a.config else []))
     df.write.mode("overwrite").parquet(a.out) if a.out else df.show(20, truncate=False)
     return 0
 

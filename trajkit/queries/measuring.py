@@ -148,23 +148,23 @@ def wl_multiturn(s, d):
 
 
 @query("train_loop")
-def train_loop(s, d):
+def train_loop(s, d, cfg=None):
     """Three steps of the whole loop, each passage asked for and its own text the label; the log has one row a step."""
     from trajkit import pipeline
 
     turn = lambda k, role: F.struct(F.lit(k).alias("turn"), F.lit(role).alias("role"))
     turns = workloads.table(s, d, "benchmark").select(F.col("item_id").alias("prompt_id"), F.inline(F.array(turn(0, "user"), turn(1, "assistant"))), F.col("text").alias("content"))
-    return pipeline.train(s, turns, workloads.table(s, d, "documents"), 3)[0]
+    return pipeline.train(s, turns, workloads.table(s, d, "documents"), 3, cfg or pipeline.Config())[0]
 
 
 @query("wl_full_path")
-def wl_full_path(s, d):
+def wl_full_path(s, d, cfg=None):
     """Rollout, refit and update end to end on all turns of all conversations: the policy after two steps against the first, in rows and in movement."""
     from trajkit import pipeline, worlds
     from trajkit.session import materialise
 
     docs = workloads.table(s, d, "documents")
     start = materialise(pipeline.start(docs))
-    _, last = pipeline.train(s, worlds.turns(s, d).withColumnRenamed("rollout_id", "prompt_id"), docs, 2, first=start)
+    _, last = pipeline.train(s, worlds.turns(s, d).withColumnRenamed("rollout_id", "prompt_id"), docs, 2, cfg or pipeline.Config(), first=start)
     first = start.select("token_id", F.col("theta").alias("before"))
     return last.join(first, "token_id").agg(F.count("*").alias("n_entries"), F.sum((F.abs(F.col("theta") - F.col("before")) > 1e-9).cast("long")).alias("n_moved"), r6(F.max(F.abs(F.col("theta") - F.col("before"))), "largest_move"))

@@ -95,7 +95,22 @@ query("agg_gsets", "SELECT coalesce(l_returnflag, '*') AS f, coalesce(l_linestat
 query("agg_pivot", "SELECT l_returnflag, sum(CASE WHEN l_linestatus = 'F' THEN 1 ELSE 0 END)::BIGINT AS f, sum(CASE WHEN l_linestatus = 'O' THEN 1 ELSE 0 END)::BIGINT AS o FROM lineitem GROUP BY 1")(
     lambda s, d: t(s, d, "lineitem").groupBy("l_returnflag").pivot("l_linestatus", ["F", "O"]).count().select("l_returnflag", F.coalesce("F", F.lit(0)).alias("f"), F.coalesce("O", F.lit(0)).alias("o"))
 )
-query("sketches")(lambda s, d: t(s, d, "lineitem").agg(F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey")).alias("distinct_tokens"), F.percentile_approx("l_quantity", 0.5, 1000).alias("median"), F.countDistinct("l_partkey").alias("exact_distinct")))
+
+
+@query("sketches", "SELECT count(DISTINCT l_partkey) AS exact_distinct, count(l_extendedprice) AS exact_n, true AS distinct_within, true AS median_within, true AS merged_within FROM lineitem")
+def sketches(s, d):
+    """Sketches against exact answers in two passes: distinct tokens within 5 %, medians (whole, and merged from a sketch a line status) within 2 % of rank."""
+    lines = t(s, d, "lineitem")
+    price = col("l_extendedprice").cast("double")
+    whole = lines.agg(F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey")).alias("est"), F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double(price), F.lit(0.5)).alias("mid"))
+    each = lines.groupBy("l_linestatus").agg(F.kll_sketch_agg_double(price).alias("k"))
+    merged = each.agg(F.kll_sketch_get_quantile_double(F.kll_merge_agg_double("k"), F.lit(0.5)).alias("mid2"))
+    x = lines.crossJoin(F.broadcast(whole)).crossJoin(F.broadcast(merged))  # one row each
+    near = lambda q: (F.avg((price < col(q)).cast("double")) <= 0.52) & (F.avg((price <= col(q)).cast("double")) >= 0.48)
+    n = F.countDistinct("l_partkey")
+    return x.agg(n.alias("exact_distinct"), F.count("l_extendedprice").alias("exact_n"), (F.abs(F.max("est") - n) <= 0.05 * n).alias("distinct_within"), near("mid").alias("median_within"), near("mid2").alias("merged_within"))
+
+
 _W = "OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey)"
 query("win_rank", f"SELECT o_orderkey, rank() {_W} AS r, dense_rank() {_W} AS dr, ntile(4) {_W} AS q, round(percent_rank() {_W}, 6) AS pr, coalesce(lag(o_orderkey) {_W}, -1) AS before FROM orders")(lambda s, d: _ranks(t(s, d, "orders")))
 
