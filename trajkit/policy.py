@@ -30,13 +30,16 @@ def fit(docs: DataFrame, version: int, alpha: float = ALPHA, versions: int = VER
     return counts.crossJoin(F.broadcast(total)).select("token_id", "n", (F.log(F.col("n") + alpha) - norm).alias("logp"), (F.log(F.lit(alpha)) - norm).alias("other_logp"))
 
 
-def fit_bigram(docs: DataFrame, version: int, backoff: float = 0.4, alpha: float = ALPHA, versions: int = VERSIONS) -> DataFrame:
-    """prev, token_id, n, p: interpolation of the bigram share with the unigram probability."""
-    t = corpus_tokens(docs.filter(F.pmod("doc_id", F.lit(versions)) <= version))
-    pairs = t.withColumn("prev", F.lag("token_id").over(Window.partitionBy("doc_id").orderBy("pos"))).filter("prev is not null")
-    both = pairs.groupBy("prev", "token_id").agg(F.count("*").alias("n"))
+def fit_bigram(docs: DataFrame, version: int, backoff: float = 0.4, alpha: float = ALPHA, versions: int = VERSIONS, unigram: DataFrame | None = None) -> DataFrame:
+    """prev, token_id, n, p: interpolation of the bigram share with the unigram probability (``unigram``: a written ``fit`` of that version).
+
+    Pairs are made inside each document's row, so only their counts are shuffled.
+    """
+    ids = docs.filter(F.pmod("doc_id", F.lit(versions)) <= version).select(F.transform(tokens.split(F.col("text")), tokens.token_id).alias("_i")).filter("size(_i) > 1")
+    step = F.arrays_zip(F.slice("_i", F.lit(1), F.size("_i") - 1).alias("prev"), F.slice("_i", F.lit(2), F.size("_i") - 1).alias("token_id"))
+    both = ids.select(F.inline(step)).groupBy("prev", "token_id").agg(F.count("*").alias("n"))
     first = both.groupBy("prev").agg(F.sum("n").alias("_n"))
-    uni = fit(docs, version, alpha, versions).select("token_id", F.exp("logp").alias("_u"))
+    uni = (fit(docs, version, alpha, versions) if unigram is None else unigram).select("token_id", F.exp("logp").alias("_u"))
     return both.join(first, "prev").join(uni, "token_id").select("prev", "token_id", "n", ((1 - backoff) * F.col("n") / F.col("_n") + backoff * F.col("_u")).alias("p"))
 
 

@@ -104,7 +104,9 @@ def _spec_trace(s, d):
 
     e = engine(s, d).withColumn("pos", (F.row_number().over(Window.partitionBy("rollout_id").orderBy("request_seq", "pos")) - 1).cast("long"))
     docs = workloads.table(s, d, "documents")
-    scored = policy.score_bigram(policy.score(e, policy.fit_once(docs, 0), "draft"), materialise(policy.fit_bigram(docs, 3)), policy.fit_once(docs, 3))
+    words = policy.fit_once(docs, 3)
+    pairs = materialise(policy.fit_bigram(docs, 3, unigram=words))
+    scored = policy.score_bigram(policy.score(e, policy.fit_once(docs, 0), "draft"), pairs, words)
     return materialise(scored.select("rollout_id", "pos", "token_id", "target", "draft", "best"))
 
 
