@@ -35,8 +35,9 @@ def fit_bigram(docs: DataFrame, version: int, backoff: float = 0.4, alpha: float
 
     Pairs are made inside each document's row, so only their counts are shuffled.
     """
-    ids = docs.filter(F.pmod("doc_id", F.lit(versions)) <= version).select(F.transform(tokens.split(F.col("text")), tokens.token_id).alias("_i")).filter("size(_i) > 1")
-    step = F.arrays_zip(F.slice("_i", F.lit(1), F.size("_i") - 1).alias("prev"), F.slice("_i", F.lit(2), F.size("_i") - 1).alias("token_id"))
+    ids = docs.filter(F.pmod("doc_id", F.lit(versions)) <= version).select(F.transform(tokens.split(F.col("text")), tokens.token_id).alias("_i"))
+    n = F.greatest(F.size("_i") - 1, F.lit(0))
+    step = F.arrays_zip(F.slice("_i", F.lit(1), n).alias("prev"), F.slice("_i", F.lit(2), n).alias("token_id"))
     both = ids.select(F.inline(step)).groupBy("prev", "token_id").agg(F.count("*").alias("n"))
     first = both.groupBy("prev").agg(F.sum("n").alias("_n"))
     uni = (fit(docs, version, alpha, versions) if unigram is None else unigram).select("token_id", F.exp("logp").alias("_u"))
