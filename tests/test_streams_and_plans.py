@@ -15,6 +15,13 @@ def test_stream_of_groups_equals_batch(spark, small):
     assert {r["group_id"] for r in QUERIES["stream_groups"](spark, small).collect()} == batch
 
 
+def test_streamed_rows_stay_in_files(spark, small):
+    got = QUERIES["stream_dedup"](spark, small)
+    assert got.inputFiles()  # a memory table on the driver has none
+    events = workloads.table(spark, small, "events").select("event_id")
+    assert sorted(r["rollout_id"] for r in got.collect()) == sorted(r["event_id"] for r in events.collect())
+
+
 def test_payloads_survive_the_store(spark, small, tmp_path):
     e = experience.build(workloads.table(spark, small, "documents"))
     back = experience.reload(experience.offload(e, str(tmp_path)), str(tmp_path)).select(*e.columns)

@@ -83,7 +83,7 @@ def _latency(s, d):
 def _events_folder(s, d):
     """The events as a folder of files in the shared folder, which is what a file stream reads."""
     path = f"{shared_folder(s)}/events_stream/{uuid.uuid4().hex}"
-    workloads.table(s, d, "events").repartition(4).write.parquet(path)
+    workloads.table(s, d, "events").write.parquet(path)
     return path
 
 
@@ -97,8 +97,7 @@ def stream_groups(s, d):
     """Groups assembled by the stateful stream over the events file; equal to the batch answer."""
     schema, ck = _stream(s, d, "stream_groups")
     stream = s.readStream.schema(schema).parquet(_events_folder(s, d))
-    name = f"groups_{uuid.uuid4().hex[:8]}"
-    return streaming.drain(streaming.group_completion(streaming.lifecycle(stream), 4), name, ck, "append").filter("state = 'complete'").select("group_id", "n_rollouts")
+    return streaming.drain(streaming.group_completion(streaming.lifecycle(stream), 4), ck).filter("state = 'complete'").select("group_id", "n_rollouts")
 
 
 @query("stream_late")
@@ -106,15 +105,14 @@ def stream_late(s, d):
     """Windowed counts of a stream with a watermark: rows behind the bound don't change closed windows."""
     schema, ck = _stream(s, d, "stream_late")
     stream = s.readStream.schema(schema).parquet(_events_folder(s, d))
-    name = f"late_{uuid.uuid4().hex[:8]}"
-    return streaming.drain(streaming.rates(streaming.with_lateness(streaming.lifecycle(stream)), "tumbling", "1 day"), name, ck)
+    return streaming.drain(streaming.rates(streaming.with_lateness(streaming.lifecycle(stream)), "tumbling", "1 day"), ck)
 
 
 @query("stream_dedup")
 def stream_dedup(s, d):
     schema, ck = _stream(s, d, "stream_dedup")
     stream = streaming.with_lateness(streaming.lifecycle(s.readStream.schema(schema).parquet(_events_folder(s, d))))
-    return streaming.drain(stream.dropDuplicatesWithinWatermark(["rollout_id"]), f"dedup_{uuid.uuid4().hex[:8]}", ck).select("rollout_id", "group_id")
+    return streaming.drain(stream.dropDuplicatesWithinWatermark(["rollout_id"]).select("rollout_id", "group_id"), ck)
 
 
 # ---- the throughput comparison, re-expressed ------------------------------------------------

@@ -6,6 +6,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.types import StructField, StructType
 
 GROUP_OUT = "group_id long, n_rollouts long, finished long, state string"
 
@@ -83,8 +84,9 @@ def train_sink(step, path: str):
     return sink
 
 
-def drain(stream: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
-    """Runs a stream over what is there now, into memory, and returns the table: for tests and small demonstrations."""
-    q = stream.writeStream.format("memory").queryName(name).option("checkpointLocation", checkpoint).outputMode(mode).trigger(availableNow=True).start()
+def drain(stream: DataFrame, folder: str, mode: str = "append") -> DataFrame:
+    """Runs a stream over what is there now into files under ``folder``, which executors share, and returns them as a table: no row reaches the driver."""
+    q = stream.writeStream.format("parquet").option("checkpointLocation", f"{folder}/checkpoint").outputMode(mode).trigger(availableNow=True).start(f"{folder}/rows")
     q.awaitTermination()
-    return stream.sparkSession.table(name)
+    plain = StructType([StructField(f.name, f.dataType) for f in stream.schema])  # without the watermark's mark
+    return stream.sparkSession.read.schema(plain).parquet(f"{folder}/rows")
