@@ -1,12 +1,15 @@
 """Streams against their batch twins, plan shapes, and properties on the smallest tables."""
 
 import inspect
+import os
 import pkgutil
+from datetime import datetime, timedelta
 
+import pandas as pd
 import trajkit
 from pyspark.sql import functions as F
 
-from trajkit import capture, experience, joins, losses, ranking, scheduling, worlds, workloads
+from trajkit import capture, experience, joins, losses, ranking, scheduling, streaming, worlds, workloads
 from trajkit.catalog import QUERIES
 
 
@@ -22,6 +25,28 @@ def test_streamed_rows_stay_in_files(spark, small):
     assert sorted(r["rollout_id"] for r in got.collect()) == sorted(r["event_id"] for r in events.collect())
 
 
+def test_neighbouring_groups_share_a_state(spark, tmp_path):
+    day = lambda k: datetime(2024, 1, 1) + timedelta(days=k)
+    files = [
+        [(0, day(0), False), (0, day(0), False), (1, day(0), False), (2, day(0), False), (3, day(0), True), (9, day(0), False), (9, day(0), False)],
+        [(1, day(1), False), (0, day(1), False), (3, day(1), False), (9, day(1), True)],  # late members of closed groups emit nothing
+        [(40, day(30), False)],
+        [(40, day(31), False)],
+        [(2, day(31), False)],  # the first member of group 2 has timed out
+    ]
+    for k, rows in enumerate(files):
+        path = str(tmp_path / f"{k}.parquet")
+        pd.DataFrame(rows, columns=["group_id", "at", "failed"]).astype({"at": "datetime64[us]"}).to_parquet(path)
+        os.utime(path, (1000 + k, 1000 + k))
+    stream = streaming.source(spark, str(tmp_path), "group_id long, at timestamp_ntz, failed boolean").withColumn("at", F.col("at").cast("timestamp"))
+    q = streaming.group_completion(stream, 2, span=4).writeStream.format("memory").queryName("shared_state").outputMode("append").trigger(availableNow=True).start()
+    q.awaitTermination()
+    got = sorted((r["group_id"], r["n_rollouts"], r["finished"], r["state"]) for r in spark.table("shared_state").collect())
+    us = lambda k: 1704067200000000 + k * 86400000000
+    assert got == [(0, 2, us(0), "complete"), (1, 2, us(1), "complete"), (3, 0, us(0), "failed"), (9, 2, us(0), "complete"), (40, 2, us(31), "complete")]
+    assert q.recentProgress[0]["stateOperators"][0]["numRowsTotal"] == 2  # five groups in two spans
+
+
 def test_payloads_survive_the_store(spark, small, tmp_path):
     e = experience.build(workloads.table(spark, small, "documents"))
     back = experience.reload(experience.offload(e, str(tmp_path)), str(tmp_path)).select(*e.columns)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -9,6 +10,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from pyspark.sql.types import StructField, StructType
 
 GROUP_OUT = "group_id long, n_rollouts long, finished long, state string"
+HELD = np.dtype([("group_id", "<i8"), ("n", "<i8"), ("last", "<i8"), ("until", "<i8"), ("closed", "?")])  # until: milliseconds, the rest of time microseconds
 
 
 def source(spark, path: str, schema, files_per_trigger: int = 1) -> DataFrame:
@@ -21,31 +23,47 @@ def lifecycle(events: DataFrame, samples: int = 4) -> DataFrame:
     return events.select(F.col("event_id").alias("rollout_id"), F.floor(F.col("event_id") / samples).alias("group_id"), F.col("ts").cast("timestamp").alias("at"), F.col("value"), (F.col("event_type") == "error").alias("failed"))
 
 
-def group_completion(stream: DataFrame, n: int, timeout: str = "2 days") -> DataFrame:
+def group_completion(stream: DataFrame, n: int, timeout: str = "2 days", span: int = 1024) -> DataFrame:
     """Emits each group once, when its n-th successful rollout arrives; a failed member closes it as failed.
 
-    State is open groups only: a group that completes or fails leaves a one-byte tombstone until its timeout, so late members emit nothing.
+    State is open groups only: a group that completes or fails leaves a tombstone until its timeout, so late members emit nothing.
+    ``span`` neighbouring group ids share one state and one call, which counts them together in arrays; each has its own timeout.
     """
     millis = int(pd.Timedelta(timeout).total_seconds() * 1000)
 
     def update(key, frames, state: GroupState):
-        if state.hasTimedOut:
+        mark, parts = state.getCurrentWatermarkMs(), []
+        held = np.frombuffer(state.get[0], HELD) if state.exists else np.empty(0, HELD)
+        for f in frames if not state.hasTimedOut else ():
+            failed = f["failed"].fillna(False).astype(bool)
+            ids = f["group_id"].astype("int64") if key[0] is not None else 0  # rows without an id are one group
+            f = pd.DataFrame({"group_id": ids, "n": ~failed, "failed": failed, "last": f["us"].fillna(0).astype("int64")})
+            parts.append(f.groupby("group_id").agg({"n": "sum", "failed": "max", "last": "max"}))
+        now = pd.concat(parts).groupby(level=0).agg({"n": "sum", "failed": "max", "last": "max"}) if parts else pd.DataFrame({"n": [], "failed": [], "last": []}, dtype="int64")
+        ids = now.index.to_numpy(dtype="int64")
+        every = np.union1d(held["group_id"], ids)
+        open_ = np.zeros(len(every), HELD)
+        open_["group_id"] = every
+        open_[np.searchsorted(every, held["group_id"])] = held
+        k = np.searchsorted(every, ids)
+        open_["n"][k] += now["n"].to_numpy(dtype="int64")
+        open_["last"][k] = np.maximum(open_["last"][k], now["last"].to_numpy(dtype="int64"))
+        open_["until"][k] = np.maximum(open_["last"][k] // 1000, mark) + millis
+        failed = now["failed"].to_numpy(dtype=bool)
+        emit = ~open_["closed"][k] & (failed | (open_["n"][k] >= n))
+        open_["closed"][k] |= emit
+        out, kept = open_[k][emit], open_[open_["until"] >= mark]
+        if len(kept):
+            state.update((kept.tobytes(),))
+            state.setTimeoutTimestamp(int(kept["until"].min()))
+        else:
             state.remove()
-            return
-        count, last, closed = state.get if state.exists else (0, 0, False)
-        failed = False
-        for f in frames:
-            count += int((~f["failed"]).sum())
-            failed = failed or bool(f["failed"].any())
-            last = max(last, int(f["at"].astype("datetime64[us]").astype("int64").max()))
-        emit = not closed and (failed or count >= n)
-        state.update((count, last, closed or emit))
-        state.setTimeoutTimestamp(max(last // 1000, state.getCurrentWatermarkMs()) + millis)
-        if emit:
-            yield pd.DataFrame([(key[0], count, last, "failed" if failed else "complete")], columns=["group_id", "n_rollouts", "finished", "state"])
-
-    timed = stream.withWatermark("at", timeout)
-    return timed.groupBy("group_id").applyInPandasWithState(update, GROUP_OUT, "n long, last long, closed boolean", "append", GroupStateTimeout.EventTimeTimeout)
+        if len(out):
+            name = out["group_id"] if key[0] is not None else [None] * len(out)
+            yield pd.DataFrame({"group_id": name, "n_rollouts": out["n"], "finished": out["last"], "state": np.where(failed[emit], "failed", "complete")})
+
+    timed = stream.withWatermark("at", timeout).select(F.floor(F.col("group_id") / span).alias("_span"), "group_id", "at", F.unix_micros("at").alias("us"), "failed")
+    return timed.groupBy("_span").applyInPandasWithState(update, GROUP_OUT, "held binary", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def with_lateness(stream: DataFrame, bound: str = "1 day") -> DataFrame:
