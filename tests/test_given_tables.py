@@ -9,3 +9,12 @@ def test_written_results_leave_no_shuffle(spark):
     before = kept.size()
     got = materialise(spark.range(1000).repartition(4).groupBy((F.col("id") % 7).alias("k")).count())
     assert kept.size() <= before and got.count() == 7
+
+
+def test_pieces_that_share_an_id_give_the_first(spark):
+    from trajkit.queries.capture import _vocabulary
+
+    turns = spark.createDataFrame([(1, 0, "user", "lesleréan"), (0, 1, "user", "word dotaas"), (2, 0, "user", "dotaas")], "conv_id long, turn long, role string, text string")
+    assert {(r["piece"], r["n"]) for r in _vocabulary(turns).filter("id = 1817749225").collect()} == {("dotaas", 3)}
+    assert {r["piece"] for r in _vocabulary(turns.withColumn("conv_id", -F.col("conv_id"))).filter("id = 1817749225").collect()} == {"dotaas"}
+    assert {r["piece"] for r in _vocabulary(turns.filter("conv_id > 0")).filter("id = 1817749225").collect()} == {"lesleréan"}
