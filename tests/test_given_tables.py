@@ -1,9 +1,16 @@
 """Queries whose rows come from the given tables."""
 
+import pytest
 from pyspark.sql import functions as F
 
+from trajkit.catalog import QUERIES
 from trajkit.session import materialise
 
+
+@pytest.mark.parametrize("name", ["m_ratio"])
+def test_reads_a_given_table(spark, small, name):
+    assert any(small in f for f in QUERIES[name](spark, small).inputFiles())
+
 def test_written_results_leave_no_shuffle(spark):
     kept = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().mapOutputTracker().shuffleStatuses()
     before = kept.size()
