@@ -25,3 +25,9 @@ def test_pieces_that_share_an_id_give_the_first(spark):
     assert {(r["piece"], r["n"]) for r in _vocabulary(turns).filter("id = 1817749225").collect()} == {("dotaas", 3)}
     assert {r["piece"] for r in _vocabulary(turns.withColumn("conv_id", -F.col("conv_id"))).filter("id = 1817749225").collect()} == {"dotaas"}
     assert {r["piece"] for r in _vocabulary(turns.filter("conv_id > 0")).filter("id = 1817749225").collect()} == {"lesleréan"}
+
+
+def test_log_is_replayed_whole(spark, small):
+    got = {(r["rollout_id"], r["turn"], r["pos"]) for r in QUERIES["scan_pysource"](spark, small).collect()}
+    talk = workloads.table(spark, small, "conversations").filter("role = 'assistant'").collect()
+    assert got == {(r["conv_id"], r["turn"], i) for r in talk for i in range(len((r["text"] or "").split()))}
