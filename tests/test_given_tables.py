@@ -8,7 +8,7 @@ from trajkit.catalog import QUERIES
 from trajkit.session import materialise
 
 
-@pytest.mark.parametrize("name", ["m_ratio", "offload_trade", "shard_bytes"])
+@pytest.mark.parametrize("name", ["m_ratio", "offload_trade", "shard_bytes", "wl_footprint_ratio"])
 def test_reads_a_given_table(spark, small, name):
     assert any(small in f for f in QUERIES[name](spark, small).inputFiles())
 
