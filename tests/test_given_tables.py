@@ -3,12 +3,12 @@
 import pytest
 from pyspark.sql import functions as F
 
-from trajkit import policy, workloads
+from trajkit import workloads
 from trajkit.catalog import QUERIES
 from trajkit.session import materialise
 
 
-@pytest.mark.parametrize("name", ["m_ratio", "offload_trade", "shard_bytes", "wl_footprint_ratio"])
+@pytest.mark.parametrize("name", ["m_ratio", "offload_trade", "shard_bytes", "wl_footprint_ratio", "segment_edge"])
 def test_reads_a_given_table(spark, small, name):
     assert any(small in f for f in QUERIES[name](spark, small).inputFiles())
 
